@@ -6,13 +6,17 @@ from collections.abc import Callable
 
 from pyspark.sql import DataFrame, SparkSession
 
-from packsum.llm import mixing, quality
+from packsum.llm import language, mixing, packing, quality, toxicity
 
 
 def table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
     return spark.read.parquet(f"{sf_dir}/{name}.parquet")
 
 
+def op7(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return packing.pack(table(spark, sf_dir, "documents"))
+
+
 def op8(spark: SparkSession, sf_dir: str) -> DataFrame:
     return quality.quality_rules(table(spark, sf_dir, "documents"))
 
@@ -22,7 +26,13 @@ def op10(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
-    return {"op8_quality_rules": op8, "op10_source_mixing": op10}
+    return {
+        "op1_toxicity": toxicity.query,
+        "op5_language_id": language.query,
+        "op7_best_fit_packing": op7,
+        "op8_quality_rules": op8,
+        "op10_source_mixing": op10,
+    }
 
 
 def oracle_sql() -> dict[str, str]:
