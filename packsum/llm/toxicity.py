@@ -1,9 +1,8 @@
 """Operator 1: toxicity by weak supervision.
 
 Voters are lexicon words and word-beginning patterns, found by counts over labelled training rows, beside a few style
-patterns. A generative label model estimates each voter's rates of firing on toxic and clean documents by expectation
-maximisation, and the correlation of voters given the hidden label; correlated voters share their evidence. A linear
-classifier over hashed-free term features then learns from the posterior labels of the model, and scores every text.
+patterns. A generative label model estimates each voter's accuracy by expectation maximisation, and the correlation of voters given the hidden label; correlated voters share their evidence. A linear
+classifier over term features then learns from the posterior labels of the model, and scores every text.
 
 The fit uses a bounded sample of labelled rows (``Training.documents``); scoring covers every whole text. Defined
 results: a null or empty text gets the score of a document without any known term; with no training labels the seed
@@ -37,7 +36,7 @@ class Training:
     documents: int = 16_000
     most_features: int = 4_000
     least_documents: int = 4
-    voter_precision: float = 0.6
+    voter_precision: float = 0.9
     most_voters: int = 300
     seed: int = 3
     threshold: float = 0.3
@@ -122,30 +121,35 @@ def term_matrix(sample: DataFrame, terms: list[str]) -> tuple[np.ndarray, np.nda
 
 
 def label_model(votes: np.ndarray, prior: float, rounds: int = 25) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
-    """Posterior of the hidden label, firing rates (clean, toxic) of each voter, and correlations given the label.
+    """Posterior of the hidden label, accuracy of each voter, and correlations of voters given the label.
 
-    Voters fire or not. Evidence is the log ratio of rates; a voter that is correlated with others given the label
-    counts for the inverse of one plus its correlations, so that several faces of one fact count once.
+    A voter says toxic or abstains; silence is no evidence, since lexicons of different languages rarely meet in one
+    document. Each vote moves the log odds from the prior to the voter's accuracy, which is assumed no worse than a
+    coin's. A voter that is correlated with others given the label counts for the inverse of one plus its
+    correlations, so that several faces of one fact count once. Documents on which all abstain share the part of the
+    prior that the votes leave.
     """
     n, v = votes.shape
-    post = np.clip((votes.sum(axis=1) > 0).astype(float), 0.02, 0.98)
-    rates, corr, share = np.zeros((2, v)), np.zeros((v, v)), np.ones(v)
+    logit = lambda p: np.log(p / (1 - p))
+    accuracy, corr, share = np.full(v, 0.85), np.zeros((v, v)), votes / 1.0
+    spoken, fired = votes.any(axis=1), votes.sum(axis=0)
+    post = np.full(n, prior)
     for k in range(rounds):
-        for y, w in enumerate((1 - post, post)):
-            rates[y] = (w @ votes + 0.01) / (w.sum() + 1.0)
+        z = logit(prior) + share @ (logit(accuracy) - logit(prior))
+        post = 1 / (1 + np.exp(-np.clip(z, -30, 30)))
+        rest = (prior * n - post[spoken].sum()) / max(1, n - spoken.sum())
+        post[~spoken] = np.clip(rest, 0.001, prior)
+        accuracy = np.clip((post @ votes + 1.7) / (fired + 2.0), 0.5, 0.995)
         if k % 8 == 4:
-            centred = votes - (post[:, None] * rates[1] + (1 - post)[:, None] * rates[0])
+            toxic_rate, clean_rate = (post @ votes) / post.sum(), ((1 - post) @ votes) / (1 - post).sum()
+            centred = votes - (post[:, None] * toxic_rate + (1 - post)[:, None] * clean_rate)
             cov = centred.T @ centred / max(n, 1)
             sd = np.sqrt(np.maximum(np.diag(cov), 1e-9))
             corr = np.clip(cov / sd[:, None] / sd[None, :], -1, 1)
-            strong = np.where(np.abs(corr) > 0.25, np.abs(corr), 0.0)
+            strong = np.where(corr > 0.25, corr, 0.0)
             np.fill_diagonal(strong, 0.0)
-            share = 1 / (1 + strong.sum(axis=1))
-        fire = np.log(rates[1] / rates[0]) * share
-        quiet = np.log((1 - rates[1]) / (1 - rates[0])) * share
-        z = np.log(prior / (1 - prior)) + votes @ fire + (1 - votes) @ quiet
-        post = 1 / (1 + np.exp(-np.clip(z, -40, 40)))
-    return post, rates, corr
+            share = votes / (1 + votes @ strong)
+    return post, accuracy, corr
 
 
 def fit_linear(row: np.ndarray, term: np.ndarray, y: np.ndarray, size: int, steps: int = 400) -> tuple[np.ndarray, float]:
@@ -165,6 +169,12 @@ def fit_linear(row: np.ndarray, term: np.ndarray, y: np.ndarray, size: int, step
     return w, b
 
 
+def wilson(hits: int, n: int, z: float = 2.0) -> float:
+    """Lower confidence bound of a share."""
+    p = hits / n
+    return (p + z * z / (2 * n) - z * ((p * (1 - p) + z * z / (4 * n)) / n) ** 0.5) / (1 + z * z / n)
+
+
 def train(docs: DataFrame, labels: DataFrame, how: Training = Training(), doc_id: str = "doc_id", text: str = "text") -> Model:
     """Labels of held-out rows are never read."""
     known = labels.select(F.col("doc_id").alias("_id"), F.col("toxic").cast("int").alias("toxic")).filter(F.col("toxic").isNotNull() & ~held_out(4, 2, "_id"))
@@ -186,16 +196,16 @@ def train(docs: DataFrame, labels: DataFrame, how: Training = Training(), doc_id
     row, term, gold = term_matrix(sample, terms)
     sample.unpersist()
     del gold  # the classifier learns from the label model alone
-    strong = {r["term"] for r in rows if r["p"] >= how.voter_precision} | set(seeds)
+    strong = {r["term"] for r in rows if wilson(r["t"], r["n"]) >= how.voter_precision} | set(seeds)
     voters = [i for i, t in enumerate(terms) if t in strong][: how.most_voters]
     at = np.full(len(terms), -1)
     at[voters] = np.arange(len(voters))
     votes = np.zeros((n_docs, len(voters)), np.float32)
     hit = at[term] >= 0
     votes[row[hit], at[term[hit]]] = 1
-    post, rates, corr = label_model(votes, prior)
+    post, accuracy, corr = label_model(votes, prior)
     weights, bias = fit_linear(row, term, post, len(terms))
-    return Model(terms, weights, bias, prior, rates[1] / np.maximum(rates.sum(axis=0), 1e-9), corr)
+    return Model(terms, weights, bias, prior, accuracy, corr)
 
 
 def score(docs: DataFrame, model: Model, threshold: float = 0.3, doc_id: str = "doc_id", text: str = "text", mark: Column | None = None) -> DataFrame:
