@@ -7,6 +7,7 @@ from functools import lru_cache
 
 import numpy as np
 import pyarrow as pa
+import pyarrow.compute as pc
 
 # Fixed values of the fingerprint: any odd multipliers serve.
 BASE = 0x9E3779B97F4A7C15 | 1
@@ -65,7 +66,7 @@ def text_bytes(column: pa.Array) -> tuple[np.ndarray, np.ndarray]:
     else:
         column, kind = column.cast(pa.string()), np.int32
     if column.null_count:
-        column = pa.compute.fill_null(column, "")
+        column = pc.fill_null(column, "")
     _, offsets, data = column.buffers()
     if offsets is None or len(column) == 0:
         return np.empty(0, np.uint8), np.zeros(len(column) + 1, np.int64)
