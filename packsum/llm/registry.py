@@ -6,6 +6,7 @@ from collections.abc import Callable
 
 from pyspark.sql import DataFrame, SparkSession
 
+import corpus_pipeline
 from packsum.llm import language, maxent, mixing, packing, privacy, quality, repeats, setjoin, toxicity
 
 
@@ -48,6 +49,7 @@ def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
         "op8_quality_rules": op8,
         "op9_jaccard_join": op9,
         "op10_source_mixing": op10,
+        "pipeline": corpus_pipeline.run,
     }
 
 
