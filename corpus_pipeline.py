@@ -1 +1,58 @@
+"""Corpus pipeline: each stage is one operator, and its decisions bind the next stage's input.
 
+Every stage takes (spark, docs, sf_dir) and returns a DataFrame, written as Parquet and read again. All but the last
+return the columns of ``documents``.
+"""
+
+from __future__ import annotations
+
+from pyspark.sql import DataFrame, SparkSession
+
+from packsum.llm import mixing, packing, privacy, setjoin, toxicity
+from packsum.llm.runtime import materialize
+
+
+def drop_toxic(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
+    """Documents that the weakly supervised classifier rejects go."""
+    return toxicity.keep_clean(docs, spark.read.parquet(f"{sf_dir}/labels.parquet"))
+
+
+def keep_one_of_each_group(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
+    """Of documents linked by shingle sets, the one with the least identifier stays."""
+    return setjoin.keep_one(docs)
+
+
+def sanitise(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
+    """Personal data becomes its kind; words that disclose it are removed or generalised."""
+    return privacy.sanitise(docs)
+
+
+def mix_sources(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
+    """Sources are taken to their targets: some documents twice, some not at all, one in each source cut."""
+    return mixing.mixed_documents(docs)
+
+
+def pack(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
+    """Token pieces with their places in sequences."""
+    return packing.pack(docs)
+
+
+STAGES = [
+    ("toxicity", drop_toxic),
+    ("jaccard_join", keep_one_of_each_group),
+    ("sanitisation", sanitise),
+    ("source_mixing", mix_sources),
+    ("best_fit_packing", pack),
+]
+
+#: Stages learn models and tokenise: no SQL expresses them. Tests hold each stage against its brute-force twin.
+ORACLE_SQL = None
+
+
+def run(spark: SparkSession, sf_dir: str) -> DataFrame:
+    docs = spark.read.parquet(f"{sf_dir}/documents.parquet")
+    for k, (_, stage) in enumerate(STAGES):
+        docs = stage(spark, docs, sf_dir)
+        if k + 1 < len(STAGES):
+            docs = materialize(docs)
+    return docs
