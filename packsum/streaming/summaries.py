@@ -8,7 +8,7 @@ from pyspark.sql import functions as F
 from packsum.functions.steps import fresh_path
 from packsum.functions.units import exponent, octave
 from packsum.operators.makespan import TOP
-from packsum.operators.rounding import merge_rounded, round_octaves
+from packsum.operators.rounding import grid_steps, histogram, merge_rounded, steps_to_instance
 from packsum.params import Eps, octave_step
 from packsum.sources.tables import Items
 
@@ -52,19 +52,20 @@ def run_to_end(spark: SparkSession, stream: DataFrame, name: str, mode: str = "a
 
 
 def rounded_in_batches(spark: SparkSession, stream: DataFrame, cap: int, eps: Eps) -> DataFrame:
-    """Rounded summary kept by micro-batch: each batch is rounded with half the precision and merged into the last
-    version; versions are named by batch, so a repeated batch writes the same table again."""
+    """Rounded summary kept by micro-batch: each batch is rounded with half the precision and joined to the last
+    version by plain union, which costs no precision; reading rounds the union once more with the other half.
+    Versions are named by batch, so a repeated batch writes the same table again."""
     root = fresh_path(spark, "rounded")
-    half = Eps(eps.num, 2 * eps.den)
+    half = octave_step("n_j", Eps(eps.num, 2 * eps.den))
     last: list[str] = []
 
     def merge(batch: DataFrame, batch_id: int) -> None:
-        fresh = round_octaves(Items(batch.select("size_units"), cap), eps)
+        fresh = steps_to_instance(grid_steps(histogram(Items(batch.select("size_units"), cap), eps), half))
         both = fresh if not last else fresh.unionByName(batch.sparkSession.read.parquet(last[-1]))
         path = f"{root}/v{batch_id}"
-        merge_rounded(both, octave_step("n_j", half) if last else None).write.mode("overwrite").parquet(path)
+        merge_rounded(both).write.mode("overwrite").parquet(path)
         last.append(path)
 
     query = stream.select("size_units").writeStream.foreachBatch(merge).option("checkpointLocation", root + "-log").trigger(availableNow=True).start()
     query.awaitTermination()
-    return spark.read.parquet(last[-1])
+    return merge_rounded(spark.read.parquet(last[-1]), half)
