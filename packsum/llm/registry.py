@@ -7,7 +7,7 @@ from collections.abc import Callable
 from pyspark.sql import DataFrame, SparkSession
 
 import corpus_pipeline
-from packsum.llm import language, maxent, mixing, packing, privacy, quality, repeats, setjoin, toxicity
+from packsum.llm import chroma, language, maxent, mixing, packing, privacy, quality, repeats, setjoin, toxicity
 
 
 def table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
@@ -43,6 +43,7 @@ def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
         "op1_toxicity": toxicity.query,
         "op2_maxent_lm": op2,
         "op3_disclosure_pii": privacy.query,
+        "op4_chroma_fingerprints": chroma.query,
         "op5_language_id": language.query,
         "op6_repeated_passages": op6,
         "op7_best_fit_packing": op7,
