@@ -169,7 +169,7 @@ def fit_linear(row: np.ndarray, term: np.ndarray, y: np.ndarray, size: int, step
     return w, b
 
 
-def wilson(hits: int, n: int, z: float = 2.0) -> float:
+def wilson(hits: int, n: int, z: float = 1.0) -> float:
     """Lower confidence bound of a share."""
     p = hits / n
     return (p + z * z / (2 * n) - z * ((p * (1 - p) + z * z / (4 * n)) / n) ** 0.5) / (1 + z * z / n)
@@ -190,7 +190,8 @@ def train(docs: DataFrame, labels: DataFrame, how: Training = Training(), doc_id
         return Model(seeds, weights, -4.0, 0.02, np.full(len(seeds), 0.9), np.eye(len(seeds)))
     prior = float(np.clip(sample.agg(F.avg("toxic")).first()[0], 0.002, 0.5))
     smooth = (F.col("t") + 0.5 * prior) / (F.col("n") + 0.5)
-    told = term_counts(sample).filter((F.col("n") >= how.least_documents) & (F.col("t") >= 2) & (smooth > 3 * prior))
+    odds = (F.col("t") + 0.5 * prior) / (F.col("n") - F.col("t") + 0.5 * (1 - prior))
+    told = term_counts(sample).filter((F.col("n") >= how.least_documents) & (F.col("t") >= 2) & (odds > 3 * prior / (1 - prior)))
     rows = told.select("term", "n", "t", smooth.alias("p")).orderBy(F.desc(F.col("t") * F.col("p")), "term").limit(how.most_features).collect()
     terms = list(dict.fromkeys([r["term"] for r in rows] + seeds))
     row, term, gold = term_matrix(sample, terms)
