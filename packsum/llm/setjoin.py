@@ -2,8 +2,8 @@
 
 Equal sets are one class. Classes are indexed by the first shingles of a global order in which rare and long shingles
 lead; an index list is kept in blocks of like set size, so a probe skips all blocks but its own and the next. In each
-block the least class leads. Every other entry is compared with the leaders of its block and the block below, and these answers settle most of the rest: entries linked to one leader are one component and need no comparison among
-themselves, and by the triangle inequality of the Jaccard distance an entry far from a leader has no link to anything
+block the most central class leads. Every other entry is compared with the leaders of its block and of the block below,
+and these answers settle most of the rest: entries linked to one leader are one component, with no comparison among them, and by the triangle inequality of the Jaccard distance an entry far from a leader has no link to anything
 near that leader. Only pairs that the leaders' answers leave open are compared. No link is lost, and a large family of
 near copies costs comparisons in proportion to its size.
 
@@ -220,11 +220,10 @@ def jaccard_components(docs: DataFrame, how: Join = Join(), doc_id: str = "doc_i
     reps = rows.filter("n > 0").groupBy("cid").agg(F.min("doc_id").alias("rep"))
     frame = materialize(frames(own, how).dropDuplicates(["cid"]))
     index = postings(own, commonness(own, how), how)
-    leaders = index.groupBy("token", "band").agg(F.min("cid").alias("lead"), F.max("cid").alias("last"))
     # Lists of one class end here; the others keep their entries.
-    lists = leaders.groupBy("token").agg(F.min("lead").alias("lo"), F.max("last").alias("hi"), F.collect_set(F.struct("band", "lead")).alias("leads")).filter("lo <> hi").select(F.col("token").alias("t"), "leads")
-    entries = materialize(index.join(lists, F.col("token") == F.col("t")).select("token", "band", "n", "pos", "cid", F.expr("filter(leads, x -> x.band in (band, band - 1))").alias("leads")))
-    views = entries.select("token", "band", "n", "pos", "cid", F.explode("leads").alias("l")).select("token", F.col("l.band").alias("lead_band"), F.col("l.lead").alias("lead"), (F.col("l.band") == F.col("band")).alias("own"), F.col("l.band").alias("lb"), "band", "n", "pos", "cid")
+    shared = index.groupBy("token").agg(F.min("cid").alias("lo"), F.max("cid").alias("hi")).filter("lo <> hi").select(F.col("token").alias("t"))
+    entries = materialize(index.join(shared, F.col("token") == F.col("t"), "left_semi").distinct())
+    views = led(entries)
     star = materialize(views.filter("cid <> lead").select(F.least("cid", "lead").alias("a"), F.greatest("cid", "lead").alias("b")).distinct())
     near = materialize(screened(star, frame, how))
     sets = materialize(needed_sets(near, reps, own, how))
@@ -244,6 +243,20 @@ def jaccard_components(docs: DataFrame, how: Join = Join(), doc_id: str = "doc_i
     return out.select("doc_id", F.col("n").alias("n_shingles"), F.coalesce("component", "doc_id").alias("component_id"))
 
 
+def led(entries: DataFrame) -> DataFrame:
+    """Entries beside the leaders of their block and of the block below.
+
+    The leader of a block is its most central class: the one whose lists are longest in all, which in a family of near
+    copies is the copy with the fewest changes of its own.
+    """
+    size = entries.groupBy("token").agg(F.count(F.lit(1)).alias("size"))
+    central = entries.select("token", "cid").join(size, "token").groupBy("cid").agg(F.sum("size").alias("score"))
+    leaders = entries.select("token", "band", "cid").join(central, "cid").groupBy("token", "band").agg(F.max(F.struct("score", "cid"))["cid"].alias("lead"))
+    lists = leaders.groupBy(F.col("token").alias("t")).agg(F.collect_list(F.struct("band", "lead")).alias("leads"))  # one a band
+    views = entries.join(lists, F.col("token") == F.col("t")).withColumn("l", F.explode(F.expr("filter(leads, x -> x.band in (band, band - 1))")))
+    return materialize(views.select("token", F.col("l.band").alias("lead_band"), F.col("l.lead").alias("lead"), (F.col("l.band") == F.col("band")).alias("own"), "band", "n", "pos", "cid"))
+
+
 def compared_sets(pairs: DataFrame, sets: DataFrame) -> DataFrame:
     """Pairs with the size of their intersection."""
     side = lambda p: sets.select(F.col("cid").alias(p), F.col("members").alias(f"m{p}"))
