@@ -174,7 +174,7 @@ def shard_blocks(docs: DataFrame, plan: MixPlan = PLAN, **columns: str) -> DataF
     ranked = blocks.withColumn("r", F.row_number().over(inside) - 1).join(counts, F.col("source").eqNullSafe(F.col("cs")) & (F.col("part") == F.col("cp")))
     ranked = ranked.withColumn("rank", F.col("r") + F.col("ahead"))
     o = owners.select(F.col("source").alias("os"), "shard", "lo", "hi")
-    owned = ranked.join(F.broadcast(o), F.col("source").eqNullSafe(F.col("os")) & (F.col("rank") >= F.col("lo")) & (F.col("rank") < F.col("hi")))
+    owned = ranked.join(F.broadcast(o) if len(lines) <= 50_000 else o, F.col("source").eqNullSafe(F.col("os")) & (F.col("rank") >= F.col("lo")) & (F.col("rank") < F.col("hi")))
     place = F.xxhash64(F.lit(plan.seed + 1), "source", "block")
     return owned.select("shard", place.alias("place"), "source", "block", (F.col("block") * plan.block_words).alias("first_word"), F.least(F.lit(plan.block_words), F.col("words") - F.col("block") * plan.block_words).alias("n_words"))
 

@@ -9,7 +9,7 @@ near copies costs comparisons in proportion to its size.
 
 Symmetric differences have a lower bound from parity sketches, which screens pairs before whole sets are compared.
 Shingles and classes are known by 64-bit fingerprints. Defined results: null and empty texts have empty sets and are
-their own components; repeated rows share a class; extra columns are ignored; an empty table gives no rows.
+their own components; repeated rows share a class; rows without an identifier link by equal sets alone; extra columns are ignored; an empty table gives no rows.
 """
 
 from __future__ import annotations
@@ -296,10 +296,10 @@ def open_pairs(views: DataFrame, known: DataFrame, label: DataFrame, how: Join)
 
 
 def keep_one(docs: DataFrame, how: Join = Join()) -> DataFrame:
-    """One document of each component stays: the least identifier, and one row of it."""
+    """One document of each component stays: the least identifier, and one row of it. Rows without one all stay."""
     decided = jaccard_components(docs, how).filter(F.col("doc_id") == F.col("component_id")).select(F.col("doc_id").alias("_kept")).distinct()
-    kept = docs.join(decided, F.col("doc_id") == F.col("_kept"), "left_semi")
-    return kept.dropDuplicates(["doc_id"])
+    kept = docs.join(decided, F.col("doc_id") == F.col("_kept"), "left_semi").dropDuplicates(["doc_id"])
+    return kept.unionByName(docs.filter(F.col("doc_id").isNull()))
 
 
 def oracle(how: Join = Join()) -> str:

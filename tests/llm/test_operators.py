@@ -345,6 +345,17 @@ def test_chroma_aligns_shifted_audio(spark):
     assert got[0][0]["class_id"] == 1 and got[0][0]["offset"] == -10
 
 
+def test_null_identifiers_and_columns(spark):
+    rows = [(None, BASE), (None, None), (3, BASE), (4, "mail a@b.cc here")]
+    d = spark.createDataFrame([(i, t, None, None, None, None, None, None, None) for i, t in rows], DOCS)
+    labels = spark.createDataFrame([(3, None), (None, 1), (4, 0)], "doc_id long, toxic int")
+    for out in (quality.quality_rules(d), mixing.mix(d), repeats.remove_repeats(d), privacy.digest(d), setjoin.jaccard_components(d), language.identify(d), toxicity.toxicity(d, labels)):
+        assert out.count() == 4
+    assert packing.pack(d).count() == 4
+    assert setjoin.keep_one(d).count() == 4
+    assert privacy.sanitise(d).count() == 4 and mixing.mixed_documents(d).columns == d.columns
+
+
 def test_pipeline_stages(spark, tiny):
     import corpus_pipeline
 
