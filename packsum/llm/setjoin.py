@@ -104,7 +104,7 @@ def classes_of(docs: DataFrame, how: Join) -> DataFrame:
 
 def commonness(docs: DataFrame, how: Join) -> np.ndarray:
     """A class of document frequency for each counter of a table of fixed size: 0 where a shingle looks rare."""
-    size, block = 1 << how.counter_bits, 1 << 14
+    size, block = 1 << how.counter_bits, 1 << max(0, how.counter_bits - 10)
 
     def count(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         table = np.zeros(size, np.uint16)
@@ -124,7 +124,7 @@ def commonness(docs: DataFrame, how: Join) -> np.ndarray:
             yield pa.RecordBatch.from_arrays([pa.array(list(sums), pa.int64()), pa.array([v.tobytes() for v in sums.values()], pa.binary())], names=["block", "counts"])
 
     kind = "block long, counts binary"
-    rows = docs.select("text").mapInArrow(count, kind).repartition(16, "block").mapInArrow(add, kind).collect()  # of fixed size
+    rows = docs.select("text").mapInArrow(count, kind).repartition("block").mapInArrow(add, kind).collect()  # 1,024 blocks of fixed size, whatever the data
     total = np.zeros(size, np.int64)
     for r in rows:
         total[r["block"] * block : (r["block"] + 1) * block] = np.frombuffer(r["counts"], np.int64)
