@@ -327,17 +327,17 @@ def _(spark, d):
 
 @query("rank_reduction_optimum", f"WITH q AS (SELECT unnest([1000, 3000, 5000, 20000])::BIGINT AS q), e AS ({EVENTS}) SELECT q, count(*)::BIGINT AS n_total, count(*) FILTER (s > q)::BIGINT AS rank, (2 * count(*) + count(*) FILTER (s > q))::BIGINT AS optimum FROM e, q GROUP BY q")
 def _(spark, d):
-    return ranking.rank_exact(tables.event_items(spark, d).df, "size_units", [1000, 3000, 5000, 20000])
+    return ranking.rank_exact(tables.event_jobs(spark, d), "size_units", [1000, 3000, 5000, 20000])
 
 
 @query("rank_by_packing_report", f"WITH q AS (SELECT unnest([1000, 3000, 5000, 20000])::BIGINT AS q), e AS ({EVENTS}) SELECT q, count(*)::BIGINT AS n_total, count(*) FILTER (s > q)::BIGINT AS rank, true AS within FROM e, q GROUP BY q")
 def _(spark, d):
-    return ranking.rank_report(spark, tables.event_items(spark, d).df, "size_units", [1000, 3000, 5000, 20000], EPS).drop("rank_estimate")
+    return ranking.rank_report(spark, tables.event_jobs(spark, d), "size_units", [1000, 3000, 5000, 20000], EPS).drop("rank_estimate")
 
 
 @query("quantile_by_rank")
 def _(spark, d):
-    df = tables.event_items(spark, d).df
+    df = tables.event_jobs(spark, d)
     return spark.createDataFrame([(phi, ranking.quantile_by_rank(spark, df, "size_units", phi, EPS)) for phi in (0.25, 0.5, 0.75)], "phi double, value long")
 
 
@@ -380,7 +380,7 @@ def grid_values(eps: Eps, top: int) -> str:
 
 @query("makespan_counters_absolute", f"SELECT exp_i::INTEGER AS exp_i, count(*) AS n, sum(s)::BIGINT AS total, max(s) AS largest FROM ({EVENTS}) JOIN {grid_values(EPS, 10**7)} ON s > lo AND s <= hi GROUP BY 1")
 def _(spark, d):
-    return makespan.counters(tables.event_items(spark, d).df, EPS)
+    return makespan.counters(tables.event_jobs(spark, d), EPS)
 
 
 MAKESPAN_SQL = f"""WITH e AS (SELECT s, exp_i FROM ({EVENTS}) JOIN {grid_values(EPS, 10**7)} ON s > lo AND s <= hi), q AS (SELECT max(exp_i) AS q FROM e)
@@ -389,32 +389,32 @@ SELECT CASE WHEN exp_i >= q - {geometric_count(EPS)} THEN exp_i END::INTEGER AS
 
 @query("makespan_summary_onepass", MAKESPAN_SQL)
 def _(spark, d):
-    return makespan.cut(makespan.counters(tables.event_items(spark, d).df, EPS), EPS)
+    return makespan.cut(makespan.counters(tables.event_jobs(spark, d), EPS), EPS)
 
 
 @query("makespan_counters_twopass", MAKESPAN_SQL)
 def _(spark, d):
-    return makespan.summary_two_pass(tables.event_items(spark, d).df, EPS)
+    return makespan.summary_two_pass(tables.event_jobs(spark, d), EPS)
 
 
 @query("makespan_report", f"SELECT unnest([2, 8, 32])::INTEGER AS machines, ceil(sum(s) / unnest([2.0, 8.0, 32.0]))::BIGINT AS load_bound, true AS valid FROM ({EVENTS})")
 def _(spark, d):
-    return makespan.makespan_report(tables.event_items(spark, d).df, EPS, [2, 8, 32]).select("machines", "load_bound", "valid")
+    return makespan.makespan_report(tables.event_jobs(spark, d), EPS, [2, 8, 32]).select("machines", "load_bound", "valid")
 
 
 @query("makespan_estimates")
 def _(spark, d):
-    return makespan.makespan_report(tables.event_items(spark, d).df, Eps(1, 20), [2, 8, 32])
+    return makespan.makespan_report(tables.event_jobs(spark, d), Eps(1, 20), [2, 8, 32])
 
 
 @query("makespan_sequential_drift", "SELECT user_id, count(*) AS n, true AS within FROM events GROUP BY 1")
 def _(spark, d):
-    return makespan.drift_report(tables.event_items(spark, d).df, EPS, "user_id", ["ts", "item_id"]).select("user_id", "n", "within")
+    return makespan.drift_report(tables.event_jobs(spark, d), EPS, "user_id", ["ts", "item_id"]).select("user_id", "n", "within")
 
 
 @query("modulo_assignment", "SELECT (event_id % 8)::INTEGER AS machine, sum(CAST(ROUND(value * 100) AS BIGINT))::BIGINT AS load, count(*) AS n FROM events GROUP BY 1")
 def _(spark, d):
-    return makespan.modulo_assignment(tables.event_items(spark, d).df, "item_id", 8)
+    return makespan.modulo_assignment(tables.event_jobs(spark, d), "item_id", 8)
 
 
 @query("list_scheduling_baselines")
@@ -578,7 +578,7 @@ def _(spark, d):
 
 @query("exponent_profile_window", f"SELECT date_trunc('day', ts)::DATE AS day, exp_i::INTEGER AS exp_i, count(*) AS n, sum(s)::BIGINT AS total FROM (SELECT ts, CAST(ROUND(value * 100) AS BIGINT) AS s FROM events) JOIN {grid_values(EPS, 10**7)} ON s > lo AND s <= hi GROUP BY 1, 2")
 def _(spark, d):
-    df = makespan.with_exponent(tables.event_items(spark, d).df, EPS).filter("exp_i is not null")
+    df = makespan.with_exponent(tables.event_jobs(spark, d), EPS).filter("exp_i is not null")
     return df.groupBy(F.to_date("ts").alias("day"), "exp_i").agg(F.count(F.lit(1)).alias("n"), F.sum("size_units").cast("long").alias("total"))
 
 

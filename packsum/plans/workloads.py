@@ -65,13 +65,13 @@ def w07_other_vectors(spark: SparkSession, d: str) -> DataFrame:
 
 
 def w08_ranks(spark: SparkSession, d: str) -> DataFrame:
-    events = tables.event_items(spark, d).df
+    events = tables.event_jobs(spark, d)
     qs = [int(x) for x in events.approxQuantile("size_units", [k / 10 for k in range(1, 10)], 0.01)]
     return _union([ranking.rank_report(spark, events, "size_units", qs, e).withColumn("eps", F.lit(e.label)) for e in (Eps(1, 5), Eps(1, 10))])
 
 
 def w09_makespan(spark: SparkSession, d: str) -> DataFrame:
-    jobs = {"events": tables.event_items(spark, d).df, "documents": tables.document_items(spark, d).df, "orders": tables.read(spark, d, "orders").select(tables.units("o_totalprice", 100).alias("size_units"))}
+    jobs = {"events": tables.event_jobs(spark, d), "documents": tables.document_items(spark, d).df, "orders": tables.read(spark, d, "orders").select(tables.units("o_totalprice", 100).alias("size_units"))}
     return _union([makespan.makespan_report(df, e, [2, 8, 32]).withColumn("workload", F.lit(name)) for name, df in jobs.items() for e in (Eps(1, 2), Eps(1, 5), Eps(1, 20))])
 
 

@@ -59,8 +59,14 @@ def price_items(spark: SparkSession, sf_dir: str) -> Items:
     return items(read(spark, sf_dir, "lineitem"), units("l_extendedprice", 100), 10_500_000)
 
 
+def event_jobs(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Events as jobs: sizes without an upper limit."""
+    return items(read(spark, sf_dir, "events"), units("value", 100), 1 << 60, item_id=F.col("event_id"), user_id=F.col("user_id"), ts=F.col("ts").cast("timestamp")).df
+
+
 def event_items(spark: SparkSession, sf_dir: str) -> Items:
-    return items(read(spark, sf_dir, "events"), units("value", 100), 50_000, item_id=F.col("event_id"), user_id=F.col("user_id"), ts=F.col("ts").cast("timestamp"))
+    """Events as items: a bin holds 500.00, and the rare larger value fills one."""
+    return items(read(spark, sf_dir, "events"), units("value", 100), 50_000, on_bad="clamp", item_id=F.col("event_id"), user_id=F.col("user_id"), ts=F.col("ts").cast("timestamp"))
 
 
 def document_items(spark: SparkSession, sf_dir: str, clean: bool = False) -> Items:

@@ -29,7 +29,7 @@ def _is_folder(spark: SparkSession, path: str) -> bool:
 
 def windowed_octaves(stream: DataFrame, cap: int, eps: Eps, width: str = "1 day") -> DataFrame:
     """Counts and totals by event-time window and octave: the state is a few rows for each open window."""
-    own = stream.withColumn("group_j", octave(F.col("size_units"), cap, eps))
+    own = stream.withColumn("size_units", F.least("size_units", F.lit(cap).cast("long"))).withColumn("group_j", octave(F.col("size_units"), cap, eps))
     return own.groupBy(F.window("ts", width).alias("w"), "group_j").agg(F.count(F.lit(1)).alias("n"), F.sum("size_units").alias("total"))
 
 
@@ -60,7 +60,7 @@ def rounded_in_batches(spark: SparkSession, stream: DataFrame, cap: int, eps: Ep
     last: list[str] = []
 
     def merge(batch: DataFrame, batch_id: int) -> None:
-        fresh = steps_to_instance(grid_steps(histogram(Items(batch.select("size_units"), cap), eps), half))
+        fresh = steps_to_instance(grid_steps(histogram(Items(batch.select(F.least("size_units", F.lit(cap).cast("long")).alias("size_units")), cap), eps), half))
         both = fresh if not last else fresh.unionByName(batch.sparkSession.read.parquet(last[-1]))
         path = f"{root}/v{batch_id}"
         merge_rounded(both).write.mode("overwrite").parquet(path)
