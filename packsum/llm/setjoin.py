@@ -125,11 +125,12 @@ def commonness(docs: DataFrame, how: Join) -> np.ndarray:
 
     kind = "block long, counts binary"
     rows = docs.select("text").mapInArrow(count, kind).repartition("block").mapInArrow(add, kind).collect()  # 1,024 blocks of fixed size, whatever the data
-    total = np.zeros(size, np.int64)
-    for r in rows:
-        total[r["block"] * block : (r["block"] + 1) * block] = np.frombuffer(r["counts"], np.int64)
-    mean = max(1.0, total.mean())
-    return np.clip(np.floor(2 * np.log2(np.maximum(total / mean, 1.0))), 0, 63).astype(np.uint8)
+    parts = {r["block"]: np.frombuffer(r["counts"], np.int64) for r in rows}
+    mean = max(1.0, sum(int(p.sum()) for p in parts.values()) / size)
+    out = np.zeros(size, np.uint8)
+    for k, part in parts.items():  # block by block, so that the driver holds no second copy of the table
+        out[k * block : (k + 1) * block] = np.clip(np.floor(2 * np.log2(np.maximum(part / mean, 1.0))), 0, 63)
+    return out
 
 
 def postings(docs: DataFrame, common: np.ndarray, how: Join) -> DataFrame:
