@@ -42,12 +42,13 @@ def order_key(plan: MixPlan, doc_id: Column) -> Column:
     return F.md5(F.concat_ws(":", F.lit(str(plan.seed)), F.coalesce(doc_id.cast("string"), F.lit(""))))
 
 
-def sized(docs: DataFrame, plan: MixPlan = PLAN, doc_id: str = "doc_id", text: str = "text", source: str = "source") -> DataFrame:
+def sized(docs: DataFrame, plan: MixPlan = PLAN, doc_id: str = "doc_id", text: str = "text", source: str = "source", rid: str | None = None) -> DataFrame:
     return docs.select(
         F.col(doc_id).alias("doc_id"),
         F.col(source).alias("source"),
         word_count(F.col(text)).alias("size"),
         order_key(plan, F.col(doc_id)).alias("key"),
+        (F.col(rid) if rid else F.monotonically_increasing_id()).alias("rid"),
     )
 
 
@@ -77,10 +78,8 @@ def source_targets(sizes: DataFrame, plan: MixPlan = PLAN) -> DataFrame:
     return table.select("source", "source_size", "weight", target.alias("target"))
 
 
-def placed(docs: DataFrame, plan: MixPlan = PLAN, **columns: str) -> DataFrame:
-    """Documents with where their words begin in their source's stream (``begin``), and the words taken of them."""
-    sizes = materialize(sized(docs, plan, **columns))  # texts are read once; sizes are used three times
-    targets = source_targets(sizes, plan)
+def placed(sizes: DataFrame, targets: DataFrame, plan: MixPlan = PLAN) -> DataFrame:
+    """Documents with their source's target, and where their words begin in its stream (``begin``)."""
     bucket = (F.conv(F.substring("key", 1, 4), 16, 10).cast("long") * plan.buckets / 65536).cast("int")
     sizes = sizes.withColumn("bucket", bucket)
     sums = sizes.groupBy("source", "bucket").agg(F.sum("size").alias("words"))
@@ -90,20 +89,37 @@ def placed(docs: DataFrame, plan: MixPlan = PLAN, **columns: str) -> DataFrame:
     local = sizes.withColumn("local", F.coalesce(F.sum("size").over(inside), F.lit(0)))
     local, offsets, targets = local.alias("d"), offsets.alias("o"), targets.alias("t")
     joined = local.join(offsets, F.col("d.source").eqNullSafe(F.col("o.source")) & (F.col("d.bucket") == F.col("o.bucket"))).join(targets, F.col("d.source").eqNullSafe(F.col("t.source")))
-    begin = F.col("o.offset") + F.col("d.local")
-    quota = F.floor(F.col("t.target") + 0.5)
-    taken = F.lit(0).cast("long")
-    for lap in range(plan.most_repeats):
-        taken = taken + F.greatest(F.lit(0), F.least(F.col("d.size"), quota - lap * F.col("t.source_size") - begin))
     return joined.select(
-        F.col("d.doc_id").alias("doc_id"), F.col("d.source").alias("source"), F.col("d.size").alias("size"), F.col("t.source_size").alias("source_size"),
-        F.col("t.target").alias("target"), begin.alias("begin"), taken.cast("long").alias("taken"),
+        F.col("d.rid").alias("rid"), F.col("d.doc_id").alias("doc_id"), F.col("d.source").alias("source"), F.col("d.size").alias("size"), F.col("t.source_size").alias("source_size"),
+        F.col("t.target").alias("target"), (F.col("o.offset") + F.col("d.local")).alias("begin"),
     )
 
 
+def handed_out(sizes: DataFrame, plan: MixPlan = PLAN) -> tuple[DataFrame, DataFrame]:
+    """Placed documents, and one row for each copy of which a shard's blocks hold words.
+
+    A copy's words are what the blocks handed out hold of it. It belongs to the shard, and the place there, of the
+    block that holds its first word, so that copies stay whole; ``begin`` orders the copies that begin in one block.
+    """
+    targets = materialize(source_targets(sizes, plan))
+    rows = materialize(placed(sizes, targets, plan))
+    lap = rows.filter("size > 0").withColumn("lap", F.explode(F.sequence(F.lit(0), F.lit(plan.most_repeats - 1))))
+    lap = lap.withColumn("lo", F.col("lap") * F.col("source_size") + F.col("begin"))
+    lap = lap.withColumn("hi", F.least(F.col("lo") + F.col("size"), F.floor(F.col("target") + 0.5))).filter("lo < hi")
+    of_word = lambda w: F.floor(w / plan.block_words).cast("long")
+    touched = lap.select("rid", "lap", "size", "lo", "hi", F.col("source").alias("_source"), F.explode(F.sequence(of_word(F.col("lo")), of_word(F.col("hi") - 1))).alias("_block"))
+    held = touched.join(owned_blocks(targets, plan), F.col("_source").eqNullSafe(F.col("source")) & (F.col("_block") == F.col("block")))
+    words = F.least("hi", F.col("first_word") + F.col("n_words")) - F.greatest("lo", "first_word")
+    head = F.min(F.struct("block", "shard", "place"))
+    copies = held.groupBy("rid", "lap").agg(F.sum(words).alias("words"), F.first("size").alias("size"), F.first("lo").alias("begin"), head.alias("head"))
+    return rows, copies.select("rid", "lap", "words", "size", "begin", "head.shard", "head.place", "head.block")
+
+
 def mix(docs: DataFrame, plan: MixPlan = PLAN, **columns: str) -> DataFrame:
     """One row for each input row: its size, its source's size and target, and the words the mix takes of it."""
-    return placed(docs, plan, **columns).select("doc_id", "size", "source_size", "target", "taken")
+    rows, copies = handed_out(materialize(sized(docs, plan, **columns)), plan)  # texts are read once
+    taken = copies.groupBy("rid").agg(F.sum("words").alias("taken"))
+    return rows.join(taken, "rid", "left").select("doc_id", "size", "source_size", "target", F.coalesce("taken", F.lit(0)).cast("long").alias("taken"))
 
 
 def split_quotas(quotas: dict[str, int], shards: int, seed: int) -> np.ndarray:
@@ -148,22 +164,29 @@ def _hypergeometric(rng: np.random.Generator, good: int, bad: int, draw: int) ->
 
 
 def shard_blocks(docs: DataFrame, plan: MixPlan = PLAN, **columns: str) -> DataFrame:
-    """The mixed stream as blocks: (shard, place, source, block, first word, words), disjoint and exhaustive.
+    """The mixed stream as blocks: (shard, place, source, block, first word, words), disjoint and exhaustive."""
+    return owned_blocks(source_targets(sized(docs, plan, **columns), plan), plan)
+
+
+def owned_blocks(targets: DataFrame, plan: MixPlan = PLAN) -> DataFrame:
+    """The blocks of all sources with their shards and places.
 
     Blocks of a source are ranked by a seeded permutation; the shard whose cumulated quota holds the rank owns the
     block. One row a source goes to the driver, for the tree.
     """
-    targets = source_targets(sized(docs, plan, **columns), plan)
     words = F.floor(F.col("target") + 0.5)
     table = targets.select("source", words.alias("words"), F.ceil(words / plan.block_words).cast("long").alias("blocks")).filter("blocks > 0")
-    rows = table.collect()
-    spark = docs.sparkSession
+    rows = sorted(table.collect(), key=lambda r: (r["source"] is None, r["source"]))
+    spark = targets.sparkSession
     quotas = {r["source"]: r["blocks"] for r in rows}
     split = split_quotas(quotas, plan.shards, plan.seed) if quotas else np.zeros((plan.shards, 0), np.int64)
     bounds = split.cumsum(axis=0)
     lines = [(s, i, int(bounds[i, k] - split[i, k]), int(bounds[i, k])) for k, s in enumerate(quotas) for i in range(plan.shards) if split[i, k]]
     owners = spark.createDataFrame(lines, "source string, shard int, lo long, hi long")
-    blocks = table.withColumn("block", F.explode(F.sequence(F.lit(0).cast("long"), F.col("blocks") - 1)))
+    # A large source has many blocks: they are listed in runs of 4,096, which tasks then share.
+    run = F.explode(F.sequence(F.lit(0).cast("long"), F.col("blocks") - 1, F.lit(4096).cast("long")))
+    runs = table.withColumn("run", run).repartition("source", "run")
+    blocks = runs.withColumn("block", F.explode(F.sequence("run", F.least(F.col("run") + 4096, "blocks") - 1))).drop("run")
     shuffled = F.xxhash64(F.lit(plan.seed), "source", "block")
     # Ranks in the permutation come from ranks inside buckets of the hash and the buckets' counts.
     blocks = blocks.withColumn("h", shuffled).withColumn("part", F.shiftrightunsigned("h", 54))
@@ -180,19 +203,17 @@ def shard_blocks(docs: DataFrame, plan: MixPlan = PLAN, **columns: str) -> DataF
 
 
 def mixed_documents(docs: DataFrame, plan: MixPlan = PLAN) -> DataFrame:
-    """The documents of the mix, with the columns of ``docs``: whole copies, and a last one cut where its quota ends."""
-    keyed = docs.withColumn("_mix_text", F.xxhash64(F.coalesce("text", F.lit(""))))
-    decided = placed(docs.select("doc_id", "text", "source"), plan)
-    # Rows that agree in identifier, source and size take alternate ranks on both sides, so repeated rows meet once each.
-    same = ["doc_id", "source", "size"]
-    left = keyed.withColumn("_mix_size", word_count(F.col("text"))).withColumn("_mix_rank", F.row_number().over(Window.partitionBy("doc_id", "source", "_mix_size").orderBy("_mix_text")))
-    right = decided.withColumn("rank", F.row_number().over(Window.partitionBy(*same).orderBy(F.desc("taken")))).select(*(F.col(c).alias(f"_m_{c}") for c in [*same, "rank", "taken"]))
-    on = F.col("doc_id").eqNullSafe(F.col("_m_doc_id")) & F.col("source").eqNullSafe(F.col("_m_source")) & (F.col("_mix_size") == F.col("_m_size")) & (F.col("_mix_rank") == F.col("_m_rank"))
-    both = left.join(right, on).filter("_m_taken > 0")
-    copies = F.sequence(F.lit(0).cast("long"), F.floor((F.col("_m_taken") - 1) / F.col("_m_size")).cast("long"))
-    out = both.withColumn("_copy", F.explode(copies)).withColumn("_want", F.least(F.col("_m_size"), F.col("_m_taken") - F.col("_copy") * F.col("_m_size")))
-    first = F.concat_ws(" ", F.slice(word_array(F.col("text")), F.lit(1), F.col("_want").cast("int")))
-    out = out.withColumn("text", F.when(F.col("_want") == F.col("_m_size"), F.col("text")).otherwise(first))
+    """The documents of the mix, with the columns of ``docs``: whole copies, and a last one cut where its quota ends.
+
+    Partition i is shard i, in the order of its shuffled blocks.
+    """
+    keyed = materialize(docs.withColumn("_mix_rid", F.monotonically_increasing_id()))
+    _, copies = handed_out(materialize(sized(keyed, plan, rid="_mix_rid")), plan)
+    copies = copies.select(*(F.col(c).alias(f"_m_{c}") for c in copies.columns))
+    out = keyed.join(copies, F.col("_mix_rid") == F.col("_m_rid"))
+    out = out.repartitionById(plan.shards, F.col("_m_shard")).sortWithinPartitions("_m_place", "_m_block", "_m_begin")
+    first = F.concat_ws(" ", F.slice(word_array(F.col("text")), F.lit(1), F.col("_m_words").cast("int")))
+    out = out.withColumn("text", F.when(F.col("_m_words") == F.col("_m_size"), F.col("text")).otherwise(first))
     if "n_chars" in docs.columns:
         out = out.withColumn("n_chars", F.length("text").cast(docs.schema["n_chars"].dataType))
     return out.select(*docs.columns)

@@ -10,7 +10,7 @@ import numpy as np
 import pyarrow as pa
 import pytest
 
-from packsum.llm import chroma, language, maxent, mixing, packing, privacy, quality, repeats, setjoin, tokens, toxicity
+from packsum.llm import chroma, language, maxent, mixing, packing, privacy, quality, repeats, runtime, setjoin, tokens, toxicity
 
 SPACE = "[\x20\x09-\x0d]+"
 DOCS = "doc_id long, text string, lang string, source string, n_chars long, n_words string, size string, h string, label string"
@@ -98,6 +98,26 @@ def test_mixed_documents_match_the_plan(spark):
     assert {i: n for i, n in taken.items() if n} == dict(got)
 
 
+def test_mix_follows_the_blocks_of_the_tree(spark, monkeypatch):
+    from pyspark.sql import functions as F
+
+    plan = mixing.MixPlan(block_words=16, shards=4)
+    d = docs_of(spark, EDGE + [f"t{i} {BASE}" for i in range(20)], sources=list("abcabcabcabca" + "abcab" * 4))
+    taken = mixing.mix(d, plan).agg(F.sum("taken")).first()[0]
+    blocks = {(r["source"], r["block"]): r["shard"] for r in mixing.shard_blocks(d, plan).collect()}
+    _, copies = mixing.handed_out(runtime.materialize(mixing.sized(d, plan)), plan)
+    source = {r["doc_id"]: r["source"] for r in d.collect()}
+    rows = copies.collect()
+    assert len({r["shard"] for r in rows}) == 4
+    out = mixing.mixed_documents(d, plan).withColumn("shard", F.spark_partition_id()).collect()
+    assert Counter(r["shard"] for r in out) == Counter(r["shard"] for r in rows)
+    assert all(r["block"] == r["begin"] // 16 for r in rows)
+    assert all(any(blocks.get((s, r["block"])) == r["shard"] for s in set(source.values())) for r in rows)
+    real = mixing.owned_blocks
+    monkeypatch.setattr(mixing, "owned_blocks", lambda targets, p: real(targets, p).filter("shard <> 0"))
+    assert 0 < mixing.mix(d, plan).agg(F.sum("taken")).first()[0] < taken  # words of a shard left out are not taken
+
+
 def brute_repeats(texts, width):
     seqs = [words(t) for t in texts]
     seen = Counter(tuple(s[i : i + width]) for s in seqs for i in range(len(s) - width + 1))
