@@ -2,8 +2,11 @@
 
 from __future__ import annotations
 
+import warnings
+
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
+from pyspark.sql.streaming import StreamingQuery
 
 from packsum.functions.steps import fresh_path
 from packsum.functions.units import exponent, octave
@@ -43,12 +46,34 @@ def session_totals(stream: DataFrame, gap: str = "30 minutes") -> DataFrame:
     return stream.groupBy("user_id", F.session_window("ts", gap).alias("w")).agg(F.count(F.lit(1)).alias("n"), F.sum("size_units").alias("total"))
 
 
-def run_to_end(spark: SparkSession, stream: DataFrame, name: str, mode: str = "append") -> DataFrame:
-    """Drain what is there into a table of the shared folder, and read it."""
-    out = fresh_path(spark, name)
-    query = stream.writeStream.format("parquet").option("path", out).option("checkpointLocation", out + "-log").outputMode(mode).trigger(availableNow=True).start()
+def run_to_end(spark: SparkSession, stream: DataFrame, name: str, mode: str = "complete") -> DataFrame:
+    """Drain what is there into versions of a table in the shared folder, and read the result.
+
+    In complete mode each batch writes the whole result anew and the last version is read: windows still open are in
+    it, and no row is late, for nothing is closed. In append mode only closed windows are returned; the rows that came
+    behind the watermark, and are lost, are counted and reported by a warning.
+    """
+    root = fresh_path(spark, name)
+    versions: list[str] = []
+
+    def write(batch: DataFrame, batch_id: int) -> None:
+        path = f"{root}/v{batch_id}"
+        batch.write.mode("overwrite").parquet(path)
+        versions.append(path)
+
+    query = stream.writeStream.foreachBatch(write).option("checkpointLocation", root + "-log").outputMode(mode).trigger(availableNow=True).start()
     query.awaitTermination()
-    return spark.read.schema(stream.schema).parquet(out)
+    late = late_rows(query)
+    if late:
+        warnings.warn(f"{name}: {late} rows or partial sums came behind the watermark and are not in the result", stacklevel=2)
+    if not versions:
+        return spark.createDataFrame([], stream.schema)
+    return spark.read.schema(stream.schema).parquet(*(versions[-1:] if mode == "complete" else dict.fromkeys(versions)))
+
+
+def late_rows(query: StreamingQuery) -> int:
+    """Rows that stateful steps dropped behind the watermark, over the batches whose progress is kept."""
+    return sum(int(s["numRowsDroppedByWatermark"]) for p in query.recentProgress for s in p["stateOperators"])
 
 
 def rounded_in_batches(spark: SparkSession, stream: DataFrame, cap: int, eps: Eps) -> DataFrame:

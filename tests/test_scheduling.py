@@ -158,6 +158,20 @@ def test_streams_equal_batch(spark, tiny):
     assert out.agg(F.sum("n")).first()[0] == items.df.filter(F.col("ts") < F.lit(last)).count()
 
 
+def test_drained_streams_hold_all_rows(spark, tiny, tmp_path):
+    from packsum.streaming import summaries as streams
+
+    events = spark.read.parquet(f"{tiny}/events.parquet").limit(200).orderBy(F.desc("ts"))  # later files are hours behind
+    rows = events.collect()
+    for k in range(0, 200, 10):
+        spark.createDataFrame(rows[k : k + 10], events.schema).coalesce(1).write.mode("append").parquet(f"{tmp_path}/events.parquet")
+    batch = streams.windowed_exponents(spark.read.parquet(f"{tmp_path}/events.parquet").select(F.col("ts").cast("timestamp").alias("ts"), F.round(F.col("value") * 100).cast("long").alias("size_units")), Eps(1, 5))
+    out = streams.run_to_end(spark, streams.windowed_exponents(streams.event_stream(spark, str(tmp_path)), Eps(1, 5)), "t")
+    assert sorted(map(tuple, out.collect())) == sorted(map(tuple, batch.collect()))
+    with pytest.warns(UserWarning, match="behind the watermark"):
+        streams.run_to_end(spark, streams.windowed_exponents(streams.event_stream(spark, str(tmp_path)), Eps(1, 5)), "t", "append")
+
+
 def test_plans_push_filters_and_stay_native(spark, tiny):
     from packsum.functions.units import is_big
 
