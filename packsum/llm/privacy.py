@@ -4,7 +4,8 @@ Protected entities are the e-mail addresses, IP addresses, card and phone number
 that stands near an entity, corpus counts give the disclosure ratio: the pointwise mutual information of word and
 entity over the information content of the entity, which is 1 where the word occurs nowhere else. Words above the
 removal threshold are removed, words above the generalisation threshold are replaced by their shape, and words with
-too few joint occurrences to estimate are left. Pattern spans always stay.
+too few joint occurrences to estimate are left. A word that discloses is marked wherever it stands, in every text, near
+an entity or not. Pattern spans always stay.
 
 Defined results: null and empty texts have no spans; repeated rows are each given the spans of their text; positions
 are code points, the end exclusive; extra columns are ignored; an empty table gives no rows.
@@ -14,7 +15,7 @@ from __future__ import annotations
 
 from dataclasses import dataclass
 
-from pyspark.sql import Column, DataFrame, SparkSession
+from pyspark.sql import Column, DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
 from packsum.llm.runtime import materialize
@@ -32,8 +33,9 @@ PATTERNS = {
 }
 GATES = {"email": "@", "ip": r"[0-9]\.[0-9]+\.[0-9]", "card": r"[0-9][\x20-]?[0-9][\x20-]?[0-9]", "phone": r"\+[0-9]"}
 BYTE_PART = "0*(?:25[0-5]|2[0-4][0-9]|1[0-9][0-9]|[1-9]?[0-9])"
-LETTERS = "A-Za-zÀ-ÖØ-öø-ɏ"
+LETTERS = r"\p{L}\p{M}"
 TERM = rf"(?<=[\x20\x09-\x0D])[{LETTERS}]{{3,}}+(?=[.,;:!?]*[\x20\x09-\x0D])"
+WORD = rf"(?<![^\x20\x09-\x0D])[{LETTERS}]{{3,}}+(?=[.,;:!?]*(?:[\x20\x09-\x0D]|\z))"
 SPAN = "array<struct<start:int,kind:int,end:int,value:string>>"
 
 
@@ -132,15 +134,23 @@ def spotted(docs: DataFrame, how: Disclosure, doc_id: str = "doc_id", text: str
     return own.select("doc_id", "tkey", "base", F.when(F.size("base") > 0, near_terms(F.col("text"), F.col("base"), how.near)).alias("terms"))
 
 
+def plain_words(text: Column) -> Column:
+    """Words in lower case, without the punctuation that ends them."""
+    return F.transform(word_array(text), lambda w: F.lower(F.rtrim(w, F.lit(".,;:!?"))))
+
+
+def few_rows(df: DataFrame, how: Disclosure) -> bool:
+    return df.limit(how.broadcast_rows + 1).count() <= how.broadcast_rows
+
+
 def disclosing(found: DataFrame, docs: DataFrame, how: Disclosure, text: str = "text") -> DataFrame:
     """(entity, term, ratio) of words that tell too much."""
     joint = found.select(F.explode("terms").alias("x")).groupBy(F.col("x.entity").alias("entity"), F.col("x.term").alias("term")).agg(F.count(F.lit(1)).alias("joint")).filter(F.col("joint") >= how.least_joint)
     joint = materialize(joint)
     mentions = found.select(F.explode("base").alias("s")).groupBy(entity(F.col("s")).alias("entity")).agg(F.count(F.lit(1)).alias("mentions"))
     wanted = joint.select("term").distinct()
-    few = wanted.limit(how.broadcast_rows + 1).count() <= how.broadcast_rows
-    tokens = docs.select(F.explode(word_array(F.col(text))).alias("w")).select(F.lower(F.rtrim(F.col("w"), F.lit(".,;:!?"))).alias("term"))
-    if few:  # the checked side is small; otherwise counts are summed before they meet it
+    tokens = docs.select(F.explode(plain_words(F.col(text))).alias("term"))
+    if few_rows(wanted, how):  # the checked side is small; otherwise counts are summed before they meet it
         totals = tokens.join(F.broadcast(wanted), "term").groupBy("term").agg(F.count(F.lit(1)).alias("total"))
     else:
         totals = tokens.groupBy("term").agg(F.count(F.lit(1)).alias("total")).join(wanted, "term")
@@ -150,16 +160,30 @@ def disclosing(found: DataFrame, docs: DataFrame, how: Disclosure, text: str = "
     return rated.select("entity", "term", ratio.alias("ratio")).filter(F.col("ratio") >= how.generalise)
 
 
-def term_spans(found: DataFrame, told: DataFrame) -> DataFrame:
-    """Per distinct row: the places of disclosing words."""
-    places = found.filter("size(terms) > 0").select("doc_id", "tkey", F.explode("terms").alias("x")).select("doc_id", "tkey", F.col("x.entity").alias("entity"), F.col("x.term").alias("term"), F.col("x.start").alias("start"), F.col("x.end").alias("end"))
-    hit = places.join(told, ["entity", "term"]).groupBy("doc_id", "tkey", "start", "end").agg(F.max("ratio").alias("ratio"))
+def term_spans(docs: DataFrame, told: DataFrame, how: Disclosure, doc_id: str = "doc_id", text: str = "text") -> DataFrame:
+    """Per distinct row: all places of disclosing words, in whole texts, near an entity or not.
+
+    Only texts that hold such a word are cut into words with places; places are running lengths, a window in each text.
+    """
+    terms = materialize(told.groupBy("term").agg(F.max("ratio").alias("ratio")))
+    small = lambda df: F.broadcast(df) if few_rows(df, how) else df
+    checked = small(terms)
+    own = docs.select(F.col(doc_id).cast("long").alias("doc_id"), F.coalesce(F.col(text), F.lit("")).alias("text")).withColumn("tkey", F.xxhash64("text"))
+    words = own.select("doc_id", "tkey", F.explode(plain_words(F.col("text"))).alias("term"))
+    holders = materialize(words.join(checked, "term").select(F.col("doc_id").alias("h_id"), F.col("tkey").alias("h_key")).distinct())
+    held = own.join(small(holders), F.col("doc_id").eqNullSafe(F.col("h_id")) & (F.col("tkey") == F.col("h_key"))).dropDuplicates(["doc_id", "tkey"])
+    matches, between = F.regexp_extract_all("text", F.lit(WORD), F.lit(0)), F.split("text", WORD, -1)
+    cut = held.select("doc_id", "tkey", F.posexplode(F.arrays_zip(matches.alias("m"), F.slice(between, 1, F.size(matches)).alias("b"))).alias("at", "x"))
+    sofar = Window.partitionBy("doc_id", "tkey").orderBy("at").rowsBetween(Window.unboundedPreceding, 0)
+    end = F.sum(F.length("x.b") + F.length("x.m")).over(sofar).cast("int")
+    places = cut.select("doc_id", "tkey", F.lower("x.m").alias("term"), (end - F.length("x.m")).alias("start"), end.alias("end"))
+    hit = places.join(checked, "term")
     return hit.groupBy(F.col("doc_id").alias("t_id"), F.col("tkey").alias("t_key")).agg(F.sort_array(F.collect_list(F.struct("start", F.lit(len(KINDS)).alias("kind"), "end", "ratio"))).alias("told"))
 
 
 def sanitised_spans(docs: DataFrame, how: Disclosure = Disclosure(), doc_id: str = "doc_id", text: str = "text") -> DataFrame:
     found = materialize(spotted(docs, how, doc_id, text))
-    told = term_spans(found, disclosing(found, docs, how, text))
+    told = term_spans(docs, disclosing(found, docs, how, text), how, doc_id, text)
     return found.join(told, F.col("doc_id").eqNullSafe(F.col("t_id")) & (F.col("tkey") == F.col("t_key")), "left")
 
 
@@ -176,7 +200,7 @@ def digest(docs: DataFrame, how: Disclosure = Disclosure(), doc_id: str = "doc_i
 
 def sanitise(docs: DataFrame, how: Disclosure = Disclosure()) -> DataFrame:
     """Rows of ``docs``, with their columns: entities replaced by their kind, disclosing words removed or generalised."""
-    spans = sanitised_spans(docs, how).select(F.col("doc_id").alias("_p_id"), F.col("tkey").alias("_p_key"), F.col("base").alias("_p_base"), F.col("told").alias("_p_told")).filter("size(_p_base) > 0").dropDuplicates(["_p_id", "_p_key"])
+    spans = sanitised_spans(docs, how).select(F.col("doc_id").alias("_p_id"), F.col("tkey").alias("_p_key"), F.col("base").alias("_p_base"), F.col("told").alias("_p_told")).filter("size(_p_base) > 0 OR _p_told IS NOT NULL").dropDuplicates(["_p_id", "_p_key"])
     keyed = docs.withColumn("_p_tkey", F.xxhash64(F.coalesce("text", F.lit(""))))
     both = keyed.join(spans, F.col("doc_id").cast("long").eqNullSafe(F.col("_p_id")) & (F.col("_p_tkey") == F.col("_p_key")), "left")
     labels = F.array(*(F.lit(f"[{k.upper()}]") for k in KINDS))

@@ -280,6 +280,20 @@ def test_disclosing_words_are_found_and_replaced(spark):
     assert clean[0]["n_chars"] == len(clean[0]["text"])
 
 
+def test_disclosing_words_go_wherever_they_stand(spark):
+    near = "write to quirkyname at boss@corp.example.com today. " + "plain filler of many letters " * 6
+    texts = [near] * 19 + [near + "Quirkyname, again", "quirkyname alone. мир", "x.QUIRKYNAME stays, é😀 quirkyname!"] + ["plain filler of many letters " * 6] * 9
+    texts += ["письмо секретик на boss@corp.example.com сюда"] * 4 + ["слово секретик"]
+    rows = privacy.digest(docs_of(spark, texts)).orderBy("doc_id").collect()
+    told = [{tuple(map(int, s.split(":")[1:])) for s in r["spans"].split(",") if s.startswith("term")} for r in rows]
+    for i, t in enumerate(texts):
+        want = {m.span() for m in re.finditer(r"(?<!\S)(quirkyname|секретик)(?=[.,;:!?]*(\s|$))", t, re.I)}
+        assert want <= told[i], (i, t)
+    assert told[22] == set()
+    clean = [r["text"] for r in privacy.sanitise(docs_of(spark, texts)).orderBy("doc_id").collect()]
+    assert all("quirkyname" not in clean[i].lower() for i in (0, 19, 20)) and clean[21] == "x.QUIRKYNAME stays, é😀 !" and clean[22] == texts[22]
+
+
 def test_language(spark):
     en, fr = "the cat and the dog went to the house with this thing", "le chat et les chiens dans une maison avec été où"
     texts = [f"{(en, fr)[i % 2]} {i}" for i in range(80)] + [None, "", "123 456 !!", en * 300, fr]
