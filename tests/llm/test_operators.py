@@ -9,8 +9,9 @@ from collections import Counter
 import numpy as np
 import pyarrow as pa
 import pytest
+from pyspark.sql import functions as F
 
-from packsum.llm import chroma, language, maxent, mixing, packing, privacy, quality, repeats, runtime, setjoin, tokens, toxicity
+from packsum.llm import chroma, language, maxent, mixing, packing, privacy, quality, repeats, runtime, setjoin, tokens, toxicity, wordhash
 
 SPACE = "[\x20\x09-\x0d]+"
 DOCS = "doc_id long, text string, lang string, source string, n_chars long, n_words string, size string, h string, label string"
@@ -331,11 +332,49 @@ def test_label_model_weighs_accurate_voters():
     assert np.mean((post > 0.5) == y) > 0.9 and (accuracy > 0.7).all()
 
 
+TINY_LM = maxent.Maxent(fanout=3, frequent=6, share=4, tokens_per_weight=1, rounds=2)
+
+
+def slow_log_share(model, last, before, leaf):
+    """One token's log probability of its leaf, one class at a time."""
+    u = lambda x: np.array([x], np.uint64)
+    values = [wordhash.mix(u(last) ^ wordhash.MIX_A), wordhash.mix(u(last) * wordhash.STEP + u(before)), wordhash.mix(u(before) ^ wordhash.MIX_B)]
+    out, at = 0.0, leaf
+    while model.parent[at] >= 0:
+        node, member = int(model.parent[at]), int(model.branch[at])
+        z = model.prior[node].astype(float).copy()
+        for v in values:
+            row = int(((v[0] ^ wordhash.mix(u(node + 1))[0]) * wordhash.STEP) >> np.uint64(64 - int(len(model.weights)).bit_length() + 1))
+            z += model.weights[row]
+        out += z[member] - np.logaddexp.reduce(z)
+        at = model.leaves + node
+    return out
+
+
+def slow_score(model, counts, codes):
+    """log10 probability of a text given by its token codes."""
+    out, last, before = 0.0, maxent.START, maxent.START
+    for k, code in enumerate(codes):
+        own = np.flatnonzero(model.code == code)
+        if len(own):
+            out += slow_log_share(model, last, before, int(own[0]))
+        elif int(code) in counts:
+            place = int(code) >> (64 - model.place_bits) if model.place_bits else 0
+            out += slow_log_share(model, last, before, len(model.code) + place) + math.log((counts[int(code)] + 1) / model.place_mass[place])
+        else:
+            out += slow_log_share(model, last, before, model.leaves - 1)
+        before, last = (maxent.START if k == 0 else last), code
+    return out / math.log(10)
+
+
 def test_language_model(spark):
-    texts = ["the cat sat on the mat", "the cat ran", "a dog sat on the mat", None, "", "THE CAT sat", "new words only here"] + [f"the cat sat on mat number{i}" for i in range(60)]
-    got = {r["doc_id"]: r for r in maxent.language_model(docs_of(spark, texts), maxent.Maxent(outcomes=4, frequent=6)).collect()}
+    texts = ["the cat sat on the mat", "the cat ran", "a dog sat on the mat", None, "", "THE CAT sat", "new words only here"] + [f"the cat sat on mat number{i}" for i in range(60)] + ["the cat"] * 2
+    docs = docs_of(spark, texts).union(docs_of(spark, texts[:2]))  # repeated rows too
+    rows = maxent.language_model(docs, TINY_LM).collect()
+    assert len(rows) == len(texts) + 2
+    got = {r["doc_id"]: r for r in rows}
     toks = {i: [w.lower() for w in words(t)] + [None] for i, t in enumerate(texts)}
-    c = Counter(w for i, t in toks.items() if zlib.crc32(str(i).encode()) % 7 != 2 for w in t)
+    c = Counter(w for i, t in [*toks.items(), (0, toks[0]), (1, toks[1])] if zlib.crc32(str(i).encode()) % 7 != 2 for w in t)
     n, v = sum(c.values()), len(c)
     for i, t in toks.items():
         r = got[i]
@@ -344,12 +383,31 @@ def test_language_model(spark):
         assert r["score"] <= 0
     assert sum(r["score"] for r in got.values()) > sum(r["base_score"] for r in got.values())
     assert maxent.language_model(empty(spark)).count() == 0
+    none = maxent.language_model(docs_of(spark, ["a b", None]), TINY_LM, out=F.lit(True)).collect()
+    assert all(r["score"] == r["base_score"] == 0 and r["train_tokens"] == 0 for r in none)
+
+
+def test_language_model_scores_equal_a_slow_twin(spark):
+    texts = [f"a b c d{i % 5} e a b w{i}" for i in range(60)] + ["unknown words", "a b", "", "w3 w4 zz a"]
+    docs = docs_of(spark, texts).select("text")
+    model, table = maxent.train(docs.limit(60), TINY_LM)
+    assert model.place_bits >= 1 and np.abs(model.weights).max() > 0.05
+    counts = {r["code"] % (1 << 64): r["c"] for r in table.collect()}
+    part = maxent.scored(docs.selectExpr("text", "cast(row_number() over (order by text) as bigint) rid", "0L doc_id", "false held_out"), model).collect()
+    for text, r in zip(sorted(texts), sorted(part, key=lambda r: r["rid"]), strict=True):
+        got = r["model_log"] + sum(x + math.log10(counts[code % (1 << 64)] + 1) for code, x in zip(r["rare"], r["extra"], strict=True) if code % (1 << 64) in counts)
+        assert got == pytest.approx(slow_score(model, counts, maxent.token_codes(pa.array([text]))[0]), abs=1e-3)
 
 
 def test_language_model_sums_to_one(spark):
-    model, _ = maxent.train(docs_of(spark, [f"a b c d{i % 5} e a b" for i in range(40)]).select("text"), maxent.Maxent(outcomes=5, classes=3))
-    z, y, _, _ = maxent.distributions(np.arange(model.base**2), model)
-    assert np.exp(z[:, model.class_of] + y).sum(axis=1) == pytest.approx(np.ones(model.base**2))
+    model, _ = maxent.train(docs_of(spark, [f"a b c d{i % 5} e a b w{i}" for i in range(40)]).select("text"), TINY_LM)
+    leaf = np.arange(model.leaves)
+    for last, before in ((maxent.START, maxent.START), (model.code[0], model.code[1]), (maxent.END, model.code[2])):
+        context = np.repeat(maxent.contexts(np.array([before, last, maxent.END], np.uint64), np.array([0, 3]))[2:], len(leaf), axis=0)
+        assert np.exp(maxent.log_shares(context, leaf, model)).sum() == pytest.approx(1, abs=1e-4)
+    mass = np.concatenate([model.count + 1.0, model.place_mass, [1.0]])
+    model.weights[:] = 0  # untrained, it is the unigram model
+    assert maxent.log_shares(context, leaf, model) == pytest.approx(np.log(np.maximum(mass, 1e-3) / mass.sum()), abs=1e-2)
 
 
 def test_chroma(spark):
