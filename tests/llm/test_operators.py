@@ -332,7 +332,7 @@ def test_label_model_weighs_accurate_voters():
     assert np.mean((post > 0.5) == y) > 0.9 and (accuracy > 0.7).all()
 
 
-TINY_LM = maxent.Maxent(fanout=3, frequent=6, share=4, tokens_per_weight=1, rounds=2)
+TINY_LM = maxent.Maxent(fanout=3, frequent=6, share=4, tokens_per_weight=1, rounds=2, every=1)
 
 
 def slow_log_share(model, last, before, leaf):
@@ -403,7 +403,7 @@ def test_language_model_sums_to_one(spark):
     model, _ = maxent.train(docs_of(spark, [f"a b c d{i % 5} e a b w{i}" for i in range(40)]).select("text"), TINY_LM)
     leaf = np.arange(model.leaves)
     for last, before in ((maxent.START, maxent.START), (model.code[0], model.code[1]), (maxent.END, model.code[2])):
-        context = np.repeat(maxent.contexts(np.array([before, last, maxent.END], np.uint64), np.array([0, 3]))[2:], len(leaf), axis=0)
+        context = np.repeat(maxent.contexts(np.array([before, last, maxent.END], np.uint64), np.array([0, 3]))[:, 2:], len(leaf), axis=1)
         assert np.exp(maxent.log_shares(context, leaf, model)).sum() == pytest.approx(1, abs=1e-4)
     mass = np.concatenate([model.count + 1.0, model.place_mass, [1.0]])
     model.weights[:] = 0  # untrained, it is the unigram model
