@@ -339,15 +339,14 @@ def slow_log_share(model, last, before, leaf):
     """One token's log probability of its leaf, one class at a time."""
     u = lambda x: np.array([x], np.uint64)
     values = [wordhash.mix(u(last) ^ wordhash.MIX_A), wordhash.mix(u(last) * wordhash.STEP + u(before)), wordhash.mix(u(before) ^ wordhash.MIX_B)]
-    out, at = 0.0, leaf
-    while model.parent[at] >= 0:
-        node, member = int(model.parent[at]), int(model.branch[at])
+    out = 0.0
+    for at in range(model.way[leaf], model.way[leaf + 1]):
+        node, member = int(model.way_node[at]), int(model.way_member[at])
         z = model.prior[node].astype(float).copy()
         for v in values:
             row = int(((v[0] ^ wordhash.mix(u(node + 1))[0]) * wordhash.STEP) >> np.uint64(64 - int(len(model.weights)).bit_length() + 1))
             z += model.weights[row]
         out += z[member] - np.logaddexp.reduce(z)
-        at = model.leaves + node
     return out
 
 
