@@ -2,16 +2,24 @@
 
 Audio is cut into overlapping frames; spectral energy is folded into twelve pitch classes. Sixteen box filters over the
 image of pitch classes by time, evaluated from its integral image, give two bits each: one 32-bit integer for each
-frame. Recordings are aligned by the histogram of offsets at which their integers agree, and judged by bit errors at
-the best offset.
+frame. Recordings are aligned by the histogram of offsets at which windows of their integers agree, and judged by bit
+errors at the best offset.
+
+Noisy copies seldom share a whole integer, so the index has keys of bits drawn from a window of integers, in several
+tables. Which bits are steady is fitted on a bounded sample of classes (``Chroma.sample``); every recording is indexed.
+Keys lengthen with the logarithm of the number of classes, so that chance meetings stay in proportion to the rows, and
+tables become more with them, to hold the recall. A sketch of other bits of the same window screens what a key lets
+meet; whole fingerprints join only the pairs that are left.
 
 The tables hold no audio, so the query renders each embedding as a melody, a documented stand-in for a media column.
 Recordings with equal fingerprints are one class; searches compare classes. Defined results: null or empty audio has an
-empty fingerprint, which matches nothing but its own class; repeated rows share a class; an empty table gives no rows.
+empty fingerprint, which matches nothing but its own class; repeated rows share a class; rows without an identifier
+are found by their class but are no queries; extra columns are ignored; an empty table gives no rows.
 """
 
 from __future__ import annotations
 
+import math
 from collections.abc import Iterator
 from dataclasses import dataclass
 
@@ -20,6 +28,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
+from packsum.llm import wordhash
 from packsum.llm.runtime import materialize
 
 FINGERPRINTS = "rec_id long, codes array<int>"
@@ -36,13 +45,18 @@ class Chroma:
     query_modulus: int = 20
     most_errors: float = 0.2
     least_overlap: int = 16
+    window: int = 16  # integers that a key draws its bits from
+    steady: int = 12  # bits of an integer that keys draw from
+    sample: int = 2048  # classes that the steady bits are fitted on
+    sketch_errors: int = 22  # of 64 bits
+    seed: int = 7
 
 
 def filters(how: Chroma) -> list[tuple[int, int, int, int]]:
     """(pattern, first pitch class, pitch classes, frames) of the sixteen filters, by rule."""
     out = []
     for k in range(16):
-        height = (3, 6, 12, 4)[k % 4]
+        height = (3, 6, 9, 4)[k % 4]  # all twelve classes sum to one: a filter of that height would tell nothing
         out.append((k % 6, (5 * k) % (13 - height), height, (2, 4, how.widest, 6)[(k // 4 + k) % 4]))
     return out
 
@@ -101,10 +115,16 @@ def fingerprints(audio: DataFrame, how: Chroma = Chroma(), rec_id: str = "rec_id
     """(rec_id, codes) of recordings in a binary column of 16-bit little-endian mono samples."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for batch in batches:
-            raw = batch.column("pcm").to_pylist()
-            out = [codes(chromagram(np.frombuffer((x or b"")[: len(x or b"") // 2 * 2], "<i2")[None, :], how), how)[0].tolist() for x in raw]
-            yield pa.RecordBatch.from_arrays([batch.column("rec_id"), pa.array(out, pa.list_(pa.int32()))], names=["rec_id", "codes"])
+        for whole in batches:
+            for lo in range(0, whole.num_rows, 256):
+                batch = whole.slice(lo, 256)
+                waves = [np.frombuffer((x or b"")[: len(x or b"") // 2 * 2], "<i2") for x in batch.column("pcm").to_pylist()]
+                out: list = [None] * len(waves)
+                for length in {len(w) for w in waves}:  # recordings of one length are one array
+                    at = [i for i, w in enumerate(waves) if len(w) == length]
+                    for i, row in zip(at, codes(chromagram(np.stack([waves[i] for i in at]), how), how), strict=True):
+                        out[i] = row.tolist()
+                yield pa.RecordBatch.from_arrays([batch.column("rec_id"), pa.array(out, pa.list_(pa.int32()))], names=["rec_id", "codes"])
 
     return audio.select(F.col(rec_id).cast("long").alias("rec_id"), F.col(pcm).alias("pcm")).mapInArrow(run, FINGERPRINTS)
 
@@ -135,21 +155,99 @@ def melody_audio(embeddings: DataFrame, how: Chroma = Chroma()) -> DataFrame:
     return embeddings.select(F.col("vec_id").cast("long").alias("rec_id"), "embedding").mapInArrow(run, "rec_id long, pcm binary")
 
 
+def steady_bits(sample: np.ndarray, how: Chroma) -> list[int]:
+    """Bits that differ least in near copies, against what chance would give; from near copies within the sample where it
+    has some, otherwise the most even bits. sample: (recordings, integers), all of one length."""
+    x = np.ascontiguousarray(sample).view(np.uint32)
+    if not x.size:
+        return list(range(how.steady))
+    bits = np.unpackbits(x.view(np.uint8).reshape(*x.shape, 4), axis=2, bitorder="little").reshape(*x.shape, 32).astype(np.float32)
+    share = bits.mean(axis=(0, 1))
+    chance = 2 * share * (1 - share)
+    flat = bits.reshape(len(x), -1) * 2 - 1
+    wrong = np.triu((1 - flat @ flat.T / flat.shape[1]) / 2 + np.eye(len(x)), 1)
+    a, b = np.nonzero((wrong > 0) & (wrong <= 1.25 * how.most_errors))
+    flips = (bits[a] != bits[b]).mean(axis=(0, 1)) if len(a) >= 20 else np.zeros(32)
+    return np.lexsort((np.arange(32), -chance, flips / np.maximum(chance, 1e-3) + 9.0 * (chance < 0.1)))[: how.steady].tolist()
+
+
+def key_plan(classes: int, bits: list[int], how: Chroma) -> tuple[list[list[tuple[int, int]]], list[tuple[int, int]]]:
+    """(bits of each table's keys, bits of the sketch) as (integer in the window, bit)."""
+    rng = np.random.default_rng(how.seed)
+    all_bits = [(s, k) for s in range(how.window) for k in bits]
+    length = min(math.ceil(1.5 * math.log2(max(classes, 2) + 254)), len(all_bits))
+    tables = max(2, math.ceil(4 * 1.15 ** (length - 24)))
+    draw = lambda n: sorted(all_bits[i] for i in rng.permutation(len(all_bits))[:n])
+    return [draw(length) for _ in range(tables)], draw(64)
+
+
+def window_keys(flat: np.ndarray, plan: list[tuple[int, int]], window: int) -> np.ndarray:
+    """One 64-bit key for every window of a run of integers."""
+    n = len(flat) - window + 1
+    out = np.zeros(n, np.uint64)
+    for s in sorted({s for s, _ in plan}):
+        mask = np.uint32(sum(1 << k for t, k in plan if t == s))
+        out = wordhash.mix(out * wordhash.STEP + (flat[s : s + n] & mask).astype(np.uint64) + np.uint64(s + 1))
+    return out
+
+
+def window_sketch(flat: np.ndarray, plan: list[tuple[int, int]], window: int) -> np.ndarray:
+    n = len(flat) - window + 1
+    out = np.zeros(n, np.uint64)
+    for i, (s, k) in enumerate(plan):
+        out |= ((flat[s : s + n] >> np.uint32(k)) & np.uint32(1)).astype(np.uint64) << np.uint64(i)
+    return out
+
+
+def postings(classes: DataFrame, plan: tuple, how: Chroma, side: str) -> DataFrame:
+    """(class, place, key, sketch) of all windows. Windows that repeat the key of the one before are left out: a held note
+    counts where it begins, which aligns as well."""
+    tables, sketch = plan
+    names = [f"{side}_id", f"{side}_at", "code", f"{side}_sketch"]
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for whole in batches:
+            for lo in range(0, whole.num_rows, 1024):
+                batch = whole.slice(lo, 1024)
+                lists = batch.column("codes")
+                size = lists.value_lengths().to_numpy(zero_copy_only=False)
+                flat = lists.flatten().to_numpy().view(np.uint32)
+                if len(flat) < how.window:
+                    continue
+                own, start = np.repeat(np.arange(len(size)), size), np.concatenate([[0], np.cumsum(size)])[:-1]
+                n = len(flat) - how.window + 1
+                inside = own[:n] == own[how.window - 1 :]
+                marks, ids = window_sketch(flat, sketch, how.window).view(np.int64), batch.column("class_id").to_numpy(zero_copy_only=False)
+                for t, table in enumerate(tables):
+                    key = wordhash.mix(window_keys(flat, table, how.window) + np.uint64(t))
+                    new = inside.copy()
+                    new[1:] &= (key[1:] != key[:-1]) | (own[1:n] != own[: n - 1])
+                    at = np.flatnonzero(new)
+                    yield pa.RecordBatch.from_arrays([pa.array(ids[own[at]], pa.int64()), pa.array((at - start[own[at]]).astype(np.int32)), pa.array(key[at].view(np.int64)), pa.array(marks[at])], names=names)
+
+    return classes.select("class_id", "codes").mapInArrow(run, f"{names[0]} long, {names[1]} int, code long, {names[3]} long")
+
+
 def search(prints: DataFrame, how: Chroma = Chroma()) -> DataFrame:
     """One row for each recording: its class, and for queries the classes that align with it.
 
-    Queries are recordings whose identifier the modulus divides. Candidates agree in one integer at least; the offset
-    that most agreeing integers share is the alignment. Classes meet once, whatever their sizes.
+    Queries are recordings whose identifier the modulus divides. Candidates share a key of a window; the offset that most
+    shared keys have in common is the alignment. Classes meet once, whatever their sizes.
     """
     rows = materialize(prints.withColumn("h", F.xxhash64("codes")))
-    classes = materialize(rows.groupBy("h").agg(F.min("rec_id").alias("class_id"), F.count(F.lit(1)).alias("n_class"), F.first("codes").alias("codes"), F.max((F.col("rec_id") % how.query_modulus == 0).cast("int")).alias("asks")))
-    asked = F.col("asks") == 1
-    posting = lambda df, p: df.select(F.col("class_id").alias(f"{p}_id"), F.posexplode("codes").alias(f"{p}_at", "code"))
-    q, r = posting(classes.filter(asked), "q"), posting(classes, "r")
-    # A pair counts once for each integer and offset, so a long held note is no multitude.
-    votes = q.join(r, "code").filter("q_id <> r_id").groupBy("q_id", "r_id", (F.col("r_at") - F.col("q_at")).alias("offset")).agg(F.count(F.lit(1)).alias("votes"))
+    asks = F.max(F.coalesce((F.col("rec_id") % how.query_modulus == 0).cast("int"), F.lit(0)))
+    classes = materialize(rows.groupBy("h").agg(F.min("rec_id").alias("class_id"), F.count(F.lit(1)).alias("n_class"), F.first("codes").alias("codes"), asks.alias("asks")))
+    known = classes.filter((F.size("codes") >= how.window) & F.col("class_id").isNotNull())
+    usual = known.groupBy(F.size("codes").alias("n")).agg(F.count(F.lit(1)).alias("c")).orderBy(F.desc("c"), "n").first()
+    total = known.count()
+    length = usual["n"] if usual else 0
+    taken = known.filter(F.size("codes") == length).select("h", "codes").orderBy("h").limit(how.sample).toArrow()["codes"]  # of bounded number
+    plan = key_plan(total, steady_bits(np.array(taken.to_pylist(), np.int32).reshape(len(taken), length), how), how)
+    alike = F.bit_count(F.col("q_sketch").bitwiseXOR(F.col("r_sketch"))) <= how.sketch_errors
+    met = postings(known.filter("asks = 1"), plan, how, "q").alias("q").join(postings(known, plan, how, "r").alias("r"), (F.col("q.code") == F.col("r.code")) & (F.col("q_id") != F.col("r_id")) & alike)
+    votes = met.groupBy("q_id", "r_id", (F.col("r_at") - F.col("q_at")).alias("offset")).agg(F.count(F.lit(1)).alias("votes"))
     best = votes.groupBy("q_id", "r_id").agg(F.max(F.struct("votes", -F.abs("offset"), "offset"))["offset"].alias("offset"))
-    side = lambda p: classes.select(F.col("class_id").alias(f"{p}_id"), F.col("codes").alias(f"{p}_codes"))
+    side = lambda p: known.select(F.col("class_id").alias(f"{p}_id"), F.col("codes").alias(f"{p}_codes"))
     both = best.join(side("q"), "q_id").join(side("r"), "r_id")
     overlap = F.least(F.size("q_codes"), F.size("r_codes") - F.col("offset")) - F.greatest(F.lit(0), -F.col("offset"))
     first = F.greatest(F.lit(0), -F.col("offset"))
@@ -157,9 +255,9 @@ def search(prints: DataFrame, how: Chroma = Chroma()) -> DataFrame:
     errors = F.aggregate(F.zip_with(a, b, lambda x, y: F.bit_count(x.bitwiseXOR(y).bitwiseAND(F.lit(0xFFFFFFFF)))), F.lit(0), lambda t, x: t + x)
     judged = both.select("q_id", "r_id", "offset", overlap.alias("overlap"), (errors / (32.0 * F.greatest(F.lit(1), overlap))).alias("bit_errors"))
     links = judged.filter((F.col("overlap") >= how.least_overlap) & (F.col("bit_errors") <= how.most_errors))
-    found = links.groupBy(F.col("q_id").alias("class_id")).agg(F.sort_array(F.collect_list(F.struct(F.col("r_id").alias("class_id"), "offset", F.round("bit_errors", 6).alias("bit_errors")))).alias("matches"))
+    found = materialize(links.groupBy(F.col("q_id").alias("class_id")).agg(F.sort_array(F.collect_list(F.struct(F.col("r_id").alias("class_id"), "offset", F.round("bit_errors", 6).alias("bit_errors")))).alias("matches")))
     out = rows.join(classes.select("h", "class_id", "n_class"), "h").join(found, "class_id", "left")
-    query = F.col("rec_id") % how.query_modulus == 0
+    query = F.coalesce(F.col("rec_id") % how.query_modulus == 0, F.lit(False))
     return out.select(F.col("rec_id").alias("vec_id"), "class_id", "n_class", F.size("codes").cast("long").alias("n_codes"), query.alias("is_query"), F.when(query, F.coalesce("matches", F.array().cast("array<struct<class_id:bigint,offset:int,bit_errors:double>>"))).alias("matches"))
 
 

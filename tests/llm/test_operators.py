@@ -436,6 +436,38 @@ def test_chroma_aligns_shifted_audio(spark):
     assert got[0][0]["class_id"] == 1 and got[0][0]["offset"] == -10
 
 
+def test_chroma_recall_of_noisy_and_shifted_copies(spark, tiny):
+    """Against all pairs at all offsets, on a real table with copies planted in it, at errors near the bound too."""
+    rng = np.random.default_rng(6)
+    how = chroma.Chroma(query_modulus=5)
+    base = np.array([r["embedding"] for r in spark.read.parquet(f"{tiny}/embeddings.parquet").collect()])
+    spread = np.sqrt((base**2).mean())
+    noisy = [v + rng.normal(scale=s * spread, size=v.shape) for s in (0.02, 0.05, 0.1) for v in base[:40]]
+    waves = [w for v in (base, np.array(noisy)) for w in chroma.rendered(v, how)] + [w[6 * how.hop :] for w in chroma.rendered(base[:20], how)]
+    prints = chroma.fingerprints(spark.createDataFrame([(i, w.tobytes()) for i, w in enumerate(waves)], "rec_id long, pcm binary"), how)
+    own = {r["rec_id"]: np.array(r["codes"], np.int32).view(np.uint32) for r in prints.collect()}
+    assert len(own) == len(waves)
+    want, bound = set(), how.most_errors
+    for q in range(0, len(waves), 5):
+        for r in own:
+            if q == r or len(own[q]) < 16 or len(own[r]) < 16 or np.array_equal(own[q], own[r]):
+                continue
+            for offset in (0, 6, -6):
+                a, b = own[q][max(0, -offset) :], own[r][max(0, offset) :]
+                n = min(len(a), len(b))
+                if n >= how.least_overlap and np.bitwise_count(a[:n] ^ b[:n]).mean() / 32 <= bound:
+                    want.add((q, r))
+    got = {(r["vec_id"], m["class_id"]) for r in chroma.search(prints, how).collect() if r["is_query"] for m in r["matches"]}
+    assert len(want) >= 20 and len(got & want) >= 0.9 * len(want) and not got - want
+
+
+def test_chroma_edges(spark):
+    rows = [(None, [0.5] * 64, "x"), (5, [0.5] * 64, "y"), (5, [0.5] * 64, "y"), (7, [None] * 64, "z"), (20, [1.0], None), (40, None, None)]
+    frame = spark.createDataFrame(rows, "vec_id long, embedding array<double>, code string")
+    out = chroma.search(chroma.fingerprints(chroma.melody_audio(frame))).collect()
+    assert len(out) == 6 and all(r["matches"] == [] for r in out if r["is_query"]) and sum(r["is_query"] for r in out) == 2
+
+
 def test_null_identifiers_and_columns(spark):
     rows = [(None, BASE), (None, None), (3, BASE), (4, "mail a@b.cc here")]
     d = spark.createDataFrame([(i, t, None, None, None, None, None, None, None) for i, t in rows], DOCS)
