@@ -116,8 +116,8 @@ def fingerprints(audio: DataFrame, how: Chroma = Chroma(), rec_id: str = "rec_id
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for whole in batches:
-            for lo in range(0, whole.num_rows, 256):
-                batch = whole.slice(lo, 256)
+            for lo in range(0, whole.num_rows, 32):
+                batch = whole.slice(lo, 32)
                 waves = [np.frombuffer((x or b"")[: len(x or b"") // 2 * 2], "<i2") for x in batch.column("pcm").to_pylist()]
                 out: list = [None] * len(waves)
                 for length in {len(w) for w in waves}:  # recordings of one length are one array
@@ -144,8 +144,8 @@ def melody_audio(embeddings: DataFrame, how: Chroma = Chroma()) -> DataFrame:
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for whole in batches:
-            for lo in range(0, whole.num_rows, 256):
-                batch = whole.slice(lo, 256)
+            for lo in range(0, whole.num_rows, 32):
+                batch = whole.slice(lo, 32)
                 out = []
                 for v in batch.column("embedding").to_pylist():
                     x = np.nan_to_num(np.array([0.0 if c is None else c for c in v or []], float))
