@@ -10,7 +10,7 @@ from packsum.functions.units import exponent
 from packsum.operators.solvers import bisect_capacity, list_schedule, longest_first
 from packsum.params import Eps, geometric_count, geometric_grid
 
-TOP = 10**15  # no single size exceeds this; the grid ends there
+TOP = 1 << 60  # the largest size that tables admit; the grid ends there
 
 
 def with_exponent(df: DataFrame, eps: Eps, size: str = "size_units", top: int = TOP) -> DataFrame:

@@ -6,8 +6,6 @@ one task for each stream. A solution is a list of (pattern, repeats); a pattern
 
 from __future__ import annotations
 
-
-import time
 from collections import Counter
 
 import numpy as np
@@ -40,13 +38,9 @@ def _with(pattern: Pattern, size: int, count: int) -> Pattern:
     return (*pattern, (size, count))
 
 
-def solve_bfd(instance: Instance, cap: int, best: bool = True) -> Solution:
-    """Best fit decreasing on whole classes of equal bins: each step moves a run of bins, never one item.
-
-    With ``best`` false the fullest rule is replaced by the earliest opened class that fits.
-    """
+def solve_bfd(instance: Instance, cap: int) -> Solution:
+    """Best fit decreasing on whole classes of equal bins: each step moves a run of bins, never one item."""
     open_bins: dict[tuple[int, Pattern], int] = {}
-    order: list[tuple[int, Pattern]] = []  # by age, for first fit
     done: dict[Pattern, int] = {}
 
     def put(gap: int, pattern: Pattern, many: int) -> None:
@@ -54,17 +48,14 @@ def solve_bfd(instance: Instance, cap: int, best: bool = True) -> Solution:
             return
         if gap < smallest:
             done[pattern] = done.get(pattern, 0) + many
-            return
-        if (gap, pattern) not in open_bins:
-            order.append((gap, pattern))
-        open_bins[gap, pattern] = open_bins.get((gap, pattern), 0) + many
+        else:
+            open_bins[gap, pattern] = open_bins.get((gap, pattern), 0) + many
 
     items = tidy(instance)
     smallest = items[-1][0] if items else 1
     for size, left in items:
         while left:
-            fitting = [k for k in order if k[0] >= size]
-            key = (min(fitting, key=lambda k: k[0]) if best else fitting[0]) if fitting else None
+            key = min((k for k in open_bins if k[0] >= size), key=lambda k: k[0], default=None)
             if key is None:
                 per = cap // max(size, 1) if size else left
                 per = min(max(per, 1), left)
@@ -74,25 +65,59 @@ def solve_bfd(instance: Instance, cap: int, best: bool = True) -> Solution:
                 continue
             gap, pattern = key
             many = open_bins.pop(key)
-            order.remove(key)
             per = gap // size if size else left
-            full = min(many, left // per)
-            rest = left - full * per if full < many and left - full * per < per else 0
+            full, rest = _filled(many, per, left)
             put(gap - per * size, _with(pattern, size, per), full)
-            left -= full * per
-            used = full
             if rest:
                 put(gap - rest * size, _with(pattern, size, rest), 1)
-                left -= rest
-                used += 1
-            put(gap, pattern, many - used)
+            put(gap, pattern, many - full - (rest > 0))
+            left -= full * per + rest
     for (_, pattern), many in open_bins.items():
         done[pattern] = done.get(pattern, 0) + many
     return _gather(done)
 
 
+def _filled(many: int, per: int, left: int) -> tuple[int, int]:
+    """Of a run of equal bins that take ``per`` items each: how many are filled, and what one more bin takes."""
+    full = min(many, left // per)
+    return full, left - full * per if full < many else 0
+
+
 def solve_ffd(instance: Instance, cap: int) -> Solution:
-    return solve_bfd(instance, cap, best=False)
+    """First fit decreasing on runs of equal bins, kept in the order in which bins were opened."""
+    items = tidy(instance)
+    runs: list[tuple[int, Pattern, int]] = []
+    done: dict[Pattern, int] = {}
+    for k, (size, left) in enumerate(items):
+        least = items[k + 1][0] if k + 1 < len(items) else cap + 1  # a bin with less room than the next size is closed
+        out: list[tuple[int, Pattern, int]] = []
+
+        def keep(gap: int, pattern: Pattern, many: int, out: list = out, least: int = least) -> None:
+            if many and gap < min(least, items[-1][0]):
+                done[pattern] = done.get(pattern, 0) + many
+            elif many:
+                out.append((gap, pattern, many))
+
+        for gap, pattern, many in runs:
+            if not left or gap < size:
+                keep(gap, pattern, many)
+                continue
+            per = gap // size if size else left
+            full, rest = _filled(many, per, left)
+            keep(gap - per * size, _with(pattern, size, per), full)
+            if rest:
+                keep(gap - rest * size, _with(pattern, size, rest), 1)
+            keep(gap, pattern, many - full - (rest > 0))
+            left -= full * per + rest
+        if left:
+            per = max(cap // size, 1) if size else left
+            keep(cap - per * size, ((size, per),), left // per)
+            if left % per:
+                keep(cap - left % per * size, ((size, left % per),), 1)
+        runs = out
+    for _, pattern, many in runs:
+        done[pattern] = done.get(pattern, 0) + many
+    return _gather(done)
 
 
 def solve_nfd(instance: Instance, cap: int) -> Solution:
@@ -163,54 +188,62 @@ def lower_bound(instance: Instance, cap: int) -> int:
     return best
 
 
-def _price(sizes: list[int], value: np.ndarray, limit: list[int], cap: int, deadline: float) -> tuple[float, list[int]]:
-    """Most valuable pattern: depth-first over counts in order of value per size, cut by the fractional bound."""
-    order = sorted(range(len(sizes)), key=lambda i: -value[i] / sizes[i])
+def _price(sizes: list[int], value: np.ndarray, limit: list[int], cap: int, steps: int) -> tuple[float, list[int], float, int]:
+    """Most valuable pattern found, by depth-first search over counts in order of value per size, cut by the fractional
+    bound: (value, counts, upper bound of any pattern's value, steps used). The bound is the value where the search ended."""
+    order = sorted(range(len(sizes)), key=lambda i: (-value[i] / sizes[i], i))
     best, best_counts = 0.0, [0] * len(sizes)
     counts = [0] * len(sizes)
-    nodes = 0
+    used, missed = 0, 0.0
 
     def go(k: int, room: int, got: float) -> None:
-        nonlocal best, best_counts, nodes
-        nodes += 1
+        nonlocal best, best_counts, used, missed
         if got > best + 1e-12:
             best, best_counts = got, counts.copy()
-        if k == len(order) or nodes > 60_000 or (nodes % 512 == 0 and time.monotonic() > deadline):
+        if k == len(order):
             return
         i = order[k]
-        if value[i] <= 0 or got + room * value[i] / sizes[i] <= best + 1e-9:
+        reach = got + room * value[i] / sizes[i]
+        if value[i] <= 0 or reach <= best + 1e-9:
+            return
+        if used >= steps:
+            missed = max(missed, reach)
             return
+        used += 1
         for c in range(min(limit[i], room // sizes[i]), -1, -1):
             counts[i] = c
             go(k + 1, room - c * sizes[i], got + c * value[i])
         counts[i] = 0
 
     go(0, cap, 0.0)
-    return best, best_counts
+    return best, best_counts, max(best, missed), used
 
 
-def solve_lp(instance: Instance, cap: int, seconds: float = 5.0) -> tuple[Solution, float | None, str]:
-    """Pattern linear program by column generation, rounded: (solution, LP value if optimal, certificate).
+def solve_lp(instance: Instance, cap: int, steps: int = 2_000_000) -> tuple[Solution, float | None, str]:
+    """Pattern linear program by column generation, rounded: (solution, lower bound of its value, certificate).
 
     First-fit-decreasing comes first, and ends the search where it is within the number of sizes of a lower bound,
     which is all that the estimate asks of a solver. Otherwise the better of rounding all columns up, and of rounding
-    down and packing the rest by first fit, competes with it. Basic solutions have as many columns as sizes.
+    down and packing the rest by first fit, competes with it. Basic solutions have as many columns as sizes. Work is
+    bounded by steps, so reruns agree. "linear program" is stated only where pricing was complete; otherwise the dual
+    values over the bound of what pricing may have missed are still a lower bound.
     """
     items = tidy(instance)
     greedy = solve_ffd(items, cap)
     if not items or bins(greedy) - lower_bound(items, cap) <= len(items):
         return greedy, None, "greedy within the number of sizes of the lower bound"
-    deadline = time.monotonic() + seconds
     sizes, need = [s for s, _ in items], np.array([n for _, n in items], float)
     basis = [[0] * i + [min(cap // s, int(need[i]))] + [0] * (len(sizes) - i - 1) for i, s in enumerate(sizes)]
     inverse = np.diag([1.0 / c[i] for i, c in enumerate(basis)])
     x = inverse @ need
-    optimal, value = False, None
-    while time.monotonic() < deadline:
-        duals = np.ones(len(sizes)) @ inverse
-        worth, column = _price(sizes, duals, [int(min(n, cap // s)) for s, n in items], cap, deadline)
+    certificate, value = "steps ran out", None
+    while steps > 0:
+        duals = np.maximum(np.ones(len(sizes)) @ inverse, 0)
+        worth, column, most, used = _price(sizes, duals, [int(min(n, cap // s)) for s, n in items], cap, min(steps, 250_000))
+        steps -= max(used, 1) + len(sizes) ** 2 // 64
+        value = max(value or 0.0, float(duals @ need) / max(most, 1.0))
         if worth <= 1 + 1e-7:
-            optimal = time.monotonic() < deadline
+            certificate = "linear program" if most <= 1 + 1e-7 else "linear program, pricing cut short"
             break
         direction = inverse @ np.array(column, float)
         ratios = np.where(direction > 1e-9, x / np.where(direction > 1e-9, direction, 1), np.inf)
@@ -224,8 +257,6 @@ def solve_lp(instance: Instance, cap: int, seconds: float = 5.0) -> tuple[Soluti
         x = np.maximum(x - step * direction, 0)
         x[out] = step
         basis[out] = column
-    if optimal:
-        value = float(x.sum())
     patterns = [tuple((s, c) for s, c in zip(sizes, col, strict=True) if c) for col in basis]
     up = Counter({p: int(np.ceil(v - 1e-9)) for p, v in zip(patterns, x, strict=True) if v > 1e-9})
     down = Counter({p: int(np.floor(v + 1e-9)) for p, v in zip(patterns, x, strict=True) if v >= 1 - 1e-9})
@@ -236,7 +267,7 @@ def solve_lp(instance: Instance, cap: int, seconds: float = 5.0) -> tuple[Soluti
     floor = down + Counter(dict(solve_ffd([(s, n) for s, n in rest.items() if n > 0], cap)))
     choices = [(bins(list(c.items())), k, list(c.items())) for k, c in enumerate((up, floor)) if c] + [(bins(greedy), 2, greedy)]
     best = min(choices, key=lambda c: c[:2])
-    return sorted(best[2], reverse=True), value, "linear program" if optimal else "time ran out"
+    return sorted(best[2], reverse=True), value, certificate
 
 
 def covers(solution: Solution, instance: Instance, cap: int) -> bool:

@@ -35,9 +35,14 @@ def builtin_steps(items: Items, eps: Eps) -> DataFrame:
     wide = agg.filter(F.col("n") >= few)
     ends = wide.select(*items.keys, "group_j", F.col("hi").alias("size_units"), F.lit(1).cast("long").alias("rank_hi")).unionByName(wide.select(*items.keys, "group_j", F.col("lo").alias("size_units"), F.col("n").alias("rank_hi")))
     steps = monotone(inner.unionByName(ends), items.keys)
+    return steps.unionByName(exact_where_few(items, eps, agg, few))
+
+
+def exact_where_few(items: Items, eps: Eps, agg: DataFrame, few: int) -> DataFrame:
+    """Exact steps of the octaves with fewer than ``few`` items: only their rows leave the scan, at most that many each."""
     small = agg.filter(F.col("n") < few).select(*items.keys, "group_j")
-    exact = grid_steps(histogram(items, eps), octave_step("n_j", eps), items.keys)
-    return steps.unionByName(exact.join(F.broadcast(small), [*items.keys, "group_j"], "left_semi"))
+    rows = with_octave(items, eps).join(F.broadcast(small) if not items.keys else small, [*items.keys, "group_j"], "left_semi")
+    return grid_steps(histogram(Items(rows.drop("group_j"), items.cap, items.keys), eps), octave_step("n_j", eps), items.keys)
 
 
 def monotone(steps: DataFrame, keys: tuple[str, ...]) -> DataFrame:
@@ -52,25 +57,41 @@ def round_builtin(items: Items, eps: Eps) -> DataFrame:
     return steps_to_instance(builtin_steps(items, eps), items.keys)
 
 
-def random_steps(items: Items, eps: Eps, sketch_k: int = 800, error: float | None = None) -> DataFrame:
-    """Randomised summary: a mergeable quantile sketch for each octave; rank bounds move by its rank error."""
+def sketch_size(error: float, failure: float) -> int:
+    """Size of a quantile sketch whose normalised rank error is at most ``error`` but for a share ``failure`` of runs.
+
+    2.296 / k**0.9021 is the published error of the sketch at 1 %; the tail falls like that of a normal distribution.
+    """
+    tail = math.sqrt(max(1.0, math.log(1 / failure) / math.log(100)))
+    return min(65_535, max(8, math.ceil((2.296 * tail / error) ** (1 / 0.9021))))
+
+
+def random_steps(items: Items, eps: Eps, sketch_k: int | None = None, error: float | None = None, failure: float = 1e-4) -> DataFrame:
+    """Randomised summary: a mergeable quantile sketch for each octave; rank bounds move by its rank error.
+
+    The sketch's size follows from the allowed failure, unless it is given; octaves of fewer than 32 / eps items take the
+    exact grid, as rank bounds of whole positions are too wide for them.
+    """
     gap = float(eps.fraction) / 4
     error = float(eps.fraction) / 16 if error is None else error
+    sketch_k = sketch_size(error, failure) if sketch_k is None else sketch_k
     fractions = [k * gap for k in range(1, math.ceil(1 / gap)) if k * gap < 1]
     big = with_octave(items, eps).filter(is_big(F.col("size_units"), items.cap, eps))
     agg = big.groupBy(*items.keys, "group_j").agg(
         F.count(F.lit(1)).alias("n"), F.max("size_units").alias("hi"), F.min("size_units").alias("lo"), F.expr(f"kll_sketch_agg_bigint(size_units, {sketch_k})").alias("sketch")
     )
     ranks = ", ".join(f"{1 - f}D" for f in fractions)
-    body = agg.select(*items.keys, "group_j", "n", F.posexplode(F.expr(f"kll_sketch_get_quantile_bigint(sketch, array({ranks}))")).alias("i", "size_units"))
+    few = math.ceil(32 / float(eps.fraction))
+    wide = agg.filter(F.col("n") >= few)
+    body = wide.select(*items.keys, "group_j", "n", F.posexplode(F.expr(f"kll_sketch_get_quantile_bigint(sketch, array({ranks}))")).alias("i", "size_units"))
     bound = F.least("n", F.ceil((F.element_at(F.array(*map(F.lit, fractions)), F.col("i") + 1) + error) * F.col("n")) + 1)
     inner = body.select(*items.keys, "group_j", "size_units", bound.cast("long").alias("rank_hi"))
-    ends = agg.select(*items.keys, "group_j", F.col("hi").alias("size_units"), F.lit(1).cast("long").alias("rank_hi")).unionByName(agg.select(*items.keys, "group_j", F.col("lo").alias("size_units"), F.col("n").alias("rank_hi")))
-    return monotone(inner.unionByName(ends), items.keys)
+    ends = wide.select(*items.keys, "group_j", F.col("hi").alias("size_units"), F.lit(1).cast("long").alias("rank_hi")).unionByName(wide.select(*items.keys, "group_j", F.col("lo").alias("size_units"), F.col("n").alias("rank_hi")))
+    return monotone(inner.unionByName(ends), items.keys).unionByName(exact_where_few(items, eps, agg, few))
 
 
-def round_random(items: Items, eps: Eps, sketch_k: int = 800) -> DataFrame:
-    return steps_to_instance(random_steps(items, eps, sketch_k), items.keys)
+def round_random(items: Items, eps: Eps, sketch_k: int | None = None, failure: float = 1e-4) -> DataFrame:
+    return steps_to_instance(random_steps(items, eps, sketch_k, failure=failure), items.keys)
 
 
 def round_universe(items: Items, eps: Eps, bits: int = 24) -> DataFrame:

@@ -46,29 +46,39 @@ def session_totals(stream: DataFrame, gap: str = "30 minutes") -> DataFrame:
     return stream.groupBy("user_id", F.session_window("ts", gap).alias("w")).agg(F.count(F.lit(1)).alias("n"), F.sum("size_units").alias("total"))
 
 
-def run_to_end(spark: SparkSession, stream: DataFrame, name: str, mode: str = "complete") -> DataFrame:
+def run_to_end(spark: SparkSession, stream: DataFrame, name: str, mode: str = "complete", folder: str | None = None) -> DataFrame:
     """Drain what is there into versions of a table in the shared folder, and read the result.
 
     In complete mode each batch writes the whole result anew and the last version is read: windows still open are in
     it, and no row is late, for nothing is closed. In append mode only closed windows are returned; the rows that came
-    behind the watermark, and are lost, are counted and reported by a warning.
+    behind the watermark, and are lost, are counted and reported by a warning. A folder of the caller's own makes the
+    drain restartable: the next call goes on from its log and reads all its versions.
     """
-    root = fresh_path(spark, name)
-    versions: list[str] = []
+    root = folder or fresh_path(spark, name)
 
     def write(batch: DataFrame, batch_id: int) -> None:
-        path = f"{root}/v{batch_id}"
-        batch.write.mode("overwrite").parquet(path)
-        versions.append(path)
+        batch.write.mode("overwrite").parquet(f"{root}/v{batch_id}")
 
     query = stream.writeStream.foreachBatch(write).option("checkpointLocation", root + "-log").outputMode(mode).trigger(availableNow=True).start()
     query.awaitTermination()
     late = late_rows(query)
     if late:
         warnings.warn(f"{name}: {late} rows or partial sums came behind the watermark and are not in the result", stacklevel=2)
-    if not versions:
+    there = versions(spark, root)
+    if not there:
         return spark.createDataFrame([], stream.schema)
-    return spark.read.schema(stream.schema).parquet(*(versions[-1:] if mode == "complete" else dict.fromkeys(versions)))
+    return spark.read.schema(stream.schema).parquet(*(f"{root}/v{k}" for k in (there[-1:] if mode == "complete" else there)))
+
+
+def versions(spark: SparkSession, root: str) -> list[int]:
+    """Numbers of the finished versions in a folder, in order."""
+    path = spark._jvm.org.apache.hadoop.fs.Path(root)
+    files = path.getFileSystem(spark._jsc.hadoopConfiguration())
+    if not files.exists(path):
+        return []
+    names = [s.getPath() for s in files.listStatus(path)]
+    done = [p.getName() for p in names if files.exists(spark._jvm.org.apache.hadoop.fs.Path(p, "_SUCCESS"))]
+    return sorted(int(n[1:]) for n in done if n[1:].isdigit())
 
 
 def late_rows(query: StreamingQuery) -> int:
@@ -76,21 +86,35 @@ def late_rows(query: StreamingQuery) -> int:
     return sum(int(s["numRowsDroppedByWatermark"]) for p in query.recentProgress for s in p["stateOperators"])
 
 
-def rounded_in_batches(spark: SparkSession, stream: DataFrame, cap: int, eps: Eps) -> DataFrame:
-    """Rounded summary kept by micro-batch: each batch is rounded with half the precision and joined to the last
-    version by plain union, which costs no precision; reading rounds the union once more with the other half.
-    Versions are named by batch, so a repeated batch writes the same table again."""
-    root = fresh_path(spark, "rounded")
-    half = octave_step("n_j", Eps(eps.num, 2 * eps.den))
-    last: list[str] = []
+def rounded_in_batches(spark: SparkSession, stream: DataFrame, cap: int, eps: Eps, folder: str | None = None) -> DataFrame:
+    """Rounded summary kept by micro-batch, in as many levels as the number of batches has binary digits.
+
+    A batch is rounded with a quarter of the precision. Two summaries of one level become one of the next, rounded again;
+    the shares of all levels sum to another quarter, and reading takes the last half, so the whole stays within eps and
+    the state within a few rows for each octave and level. Version k is made of version k - 1 and batch k alone: a
+    repeated batch writes the same table again, and a drain in a folder of the caller's own goes on after a restart.
+    """
+    root = folder or fresh_path(spark, "rounded")
+    share = lambda part: octave_step("n_j", Eps(eps.num, part * eps.den))
 
     def merge(batch: DataFrame, batch_id: int) -> None:
-        fresh = steps_to_instance(grid_steps(histogram(Items(batch.select(F.least("size_units", F.lit(cap).cast("long")).alias("size_units")), cap), eps), half))
-        both = fresh if not last else fresh.unionByName(batch.sparkSession.read.parquet(last[-1]))
-        path = f"{root}/v{batch_id}"
-        merge_rounded(both).write.mode("overwrite").parquet(path)
-        last.append(path)
+        sizes = Items(batch.select(F.least("size_units", F.lit(cap).cast("long")).alias("size_units")), cap)
+        carry, level = steps_to_instance(grid_steps(histogram(sizes, eps), share(4))), 0
+        parts = []
+        if batch_id:
+            before = batch.sparkSession.read.parquet(f"{root}/v{batch_id - 1}")
+            while batch_id >> level & 1:  # the levels in use are the binary digits of the number of earlier batches
+                both = carry.unionByName(before.filter(F.col("level") == level).drop("level"))
+                carry, level = merge_rounded(both, share(4 * (level + 1) * (level + 2))), level + 1
+            parts.append(before.filter(F.col("level") > level))
+        out = carry.withColumn("level", F.lit(level))
+        for part in parts:
+            out = out.unionByName(part)
+        out.write.mode("overwrite").parquet(f"{root}/v{batch_id}")
 
     query = stream.select("size_units").writeStream.foreachBatch(merge).option("checkpointLocation", root + "-log").trigger(availableNow=True).start()
     query.awaitTermination()
-    return merge_rounded(spark.read.parquet(last[-1]), half)
+    there = versions(spark, root)
+    if not there:
+        return spark.createDataFrame([], "group_j int, size_units long, multiplicity long")
+    return merge_rounded(spark.read.parquet(f"{root}/v{there[-1]}").drop("level"), share(2))

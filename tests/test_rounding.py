@@ -157,3 +157,18 @@ def test_sequential_summary_bounds():
         first, last = ordered.index(value) + 1, len(data) - ordered[::-1].index(value)
         assert low <= last and high >= first
         assert high - low <= 2 * 0.02 * len(data)
+
+
+@pytest.mark.parametrize("kind", ["builtin", "random"])
+def test_properties_hold_for_few_items(spark, kind):
+    rng = random.Random(3)
+    for eps in (Eps(1, 3), Eps(1, 10)):
+        for n in (1, 2, 40, 110, 330, 700):
+            items = size_list(spark, [rng.randint(1, 1000) for _ in range(n)], 1000)
+            flags = properties.check_properties(items, eps, summaries.SUMMARIES[kind](items, eps)).first()
+            assert not flags["n_big"] or (flags["p1"] and flags["p2"] and flags["p3"] and flags["p4"]), (eps, n)
+
+
+def test_sketch_size_follows_from_failure():
+    sizes = [summaries.sketch_size(1 / 80, f) for f in (1e-2, 1e-4, 1e-8)]
+    assert sizes == sorted(sizes) and sizes[0] >= 300

@@ -6,7 +6,7 @@ import numpy as np
 import pytest
 from pyspark.sql import functions as F
 
-from packsum.operators import containers, makespan, ranking, solvers, typed, vectors
+from packsum.operators import containers, makespan, properties, ranking, solvers, typed, vectors
 from packsum.operators.estimate import PackHow
 from packsum.params import Eps, container_gamma
 from packsum.sources import tables
@@ -181,3 +181,30 @@ def test_plans_push_filters_and_stay_native(spark, tiny):
     v = tables.line_vectors(spark, tiny)
     plan = containers.containers_prefix(v, 8, container_gamma(Eps(1, 2), 4), load=10**9)._jdf.queryExecution().toString()
     assert "Python" not in plan and "Pandas" not in plan and "CartesianProduct" not in plan
+
+
+def test_streams_go_on_after_a_restart(spark, tiny, tmp_path):
+    from packsum.streaming import summaries as streams
+
+    events = tables.read(spark, tiny, "events")
+    folder, src = f"file://{tmp_path}/state", f"{tmp_path}/events.parquet"
+    halves = [events.filter(F.col("event_id") % 3 == k).coalesce(1) for k in range(3)]
+    cap, eps, seen = 50_000, Eps(1, 5), 0
+    for k, part in enumerate(halves):  # three drains of one growing folder, as after a crash between batches
+        part.write.mode("append").parquet(src)
+        seen += part.count()
+        whole = streams.rounded_in_batches(spark, streams.event_stream(spark, str(tmp_path)), cap, eps, folder)
+        counted = streams.run_to_end(spark, streams.windowed_octaves(streams.event_stream(spark, str(tmp_path)), cap, eps), "t", folder=folder + "-windows")
+        assert counted.agg(F.sum("n")).first()[0] == seen
+        items = tables.event_items(spark, str(tmp_path))
+        flags = properties.check_properties(items, eps, whole).first()
+        assert flags["p1"] and flags["p2"] and flags["p3"] and flags["p4"], k
+        assert streams.versions(spark, folder) == list(range(k + 1))
+    again = streams.rounded_in_batches(spark, streams.event_stream(spark, str(tmp_path)), cap, eps, folder)
+    assert sorted(again.collect()) == sorted(whole.collect())
+
+
+def test_jobs_of_any_admitted_size_are_counted(spark):
+    df = spark.createDataFrame([(1 << 60,), (10**17,), (10**15 + 1,), (1,), (0,)], "size_units long")
+    rows = makespan.counters(df, Eps(1, 5)).collect()
+    assert sum(r["n"] for r in rows) == 4 and all(r["exp_i"] is not None for r in rows)
