@@ -13,8 +13,8 @@ from pyspark.sql import functions as F
 
 from packsum.operators import bounds, containers, estimate, makespan, properties, ranking, rounding, summaries, typed, vectors
 from packsum.operators.estimate import PackHow
-from packsum.params import Eps, container_gamma, geometric_count, geometric_grid
-from packsum.plans.workloads import WORKLOADS
+from packsum.params import Eps, container_gamma, geometric_count, geometric_grid, packing_eps
+from packsum.plans.workloads import TARGETS, WORKLOADS
 from packsum.sources import tables
 from packsum.streaming import summaries as streams
 
@@ -640,6 +640,42 @@ def _(spark, d):
 QUERIES |= WORKLOADS
 
 
+# Workload reports against SQL: counts, totals and bounds exactly, and the flags of the proved bounds
+
+PACK_ROWS = ["workload", "method", "eps_num", "eps_den", "n_small", "n_big", "small_total", "size_bound", "above_lower", "within_upper"]
+
+
+def _workload_sql(cases: list[tuple[str, str, str, int, Eps]], key: str | None = None) -> str:
+    out = []
+    for name, method, source, cap, target in cases:
+        eps = packing_eps(target)
+        row = _report_sql(source, cap, eps).replace("SELECT ", f"SELECT {key + ', ' if key else ''}'{name}' AS workload, '{method}' AS method, {eps.num}::BIGINT AS eps_num, {eps.den}::BIGINT AS eps_den, ", 1)
+        out.append(row + (f" GROUP BY {key}" if key else ""))
+    return " UNION ALL ".join(out)
+
+
+def _checked(name: str, sql: str, keep=lambda df: df.select(*PACK_ROWS)):
+    QUERIES[f"{name}_checked"] = lambda spark, d, f=WORKLOADS[name]: keep(f(spark, d))
+    ORACLES[f"{name}_checked"] = sql
+
+
+T = TARGETS
+_checked("w01_quantity", _workload_sql([("quantity", m, LINES, 50, t) for m, ts in (("octaves/exact/lp", T), ("simple/exact/lp", T[:2]), ("octaves/universe/lp", T[:2])) for t in ts]))
+_checked("w02_price", _workload_sql([("price", f"octaves/{m}", PRICES, 10_500_000, t) for m, ts in (("exact/ffd", T), ("builtin/ffd", T[:3]), ("random/ffd", T[:3]), ("universe/ffd", T[:3]), ("exact/lp", T[1:2]), ("sequential/ffd", T[1:2])) for t in ts]))
+_checked("w04_events", _workload_sql([("events", f"octaves/exact/{m}", f"SELECT least(s, 50000) AS s FROM ({EVENTS})", 50_000, t) for m, ts in (("ffd", T), ("bfd", T[:2]), ("lp", T[:2])) for t in ts]))
+
+MAKESPAN_JOBS = {"events": EVENTS, "documents": "SELECT n_chars::BIGINT AS s FROM documents", "orders": "SELECT CAST(ROUND(o_totalprice * 100) AS BIGINT) AS s FROM orders"}
+_checked("w09_makespan", " UNION ALL ".join(
+    f"SELECT '{k}' AS workload, m::INTEGER AS machines, {e.num} AS eps_num, {e.den} AS eps_den, greatest(ceil(sum(s)::DECIMAL(38,0) / m), max(s))::BIGINT AS lower_bound, true AS valid FROM ({sql}), (SELECT unnest([2, 8, 32]) AS m) GROUP BY m"
+    for k, sql in MAKESPAN_JOBS.items() for e in (Eps(1, 2), Eps(1, 5), Eps(1, 20))
+), lambda df: df.select("workload", "machines", "eps_num", "eps_den", "lower_bound", "valid"))
+_checked("w11_tight", """SELECT * FROM (VALUES ('sequential', 2, 2, 6, true), ('grouped', 2, 2, 6, true), ('sequential', 2, 4, 10, true), ('grouped', 2, 4, 10, true), ('sequential', 3, 3, 21, true), ('grouped', 3, 3, 21, true)) t(method, machines, inv_gamma, jobs, as_proved)""",
+         lambda df: df.select("method", "machines", "inv_gamma", F.col("jobs").cast("int").alias("jobs"), (F.col("summary_optimum") >= F.when(F.col("method") == "grouped", F.col("proved_least")).otherwise(1.0)).alias("as_proved")))
+_checked("w14_growth", " UNION ALL ".join(
+    f"SELECT '{e.label}' AS eps, {share} AS parts, true AS big_kept, true AS few FROM (SELECT 1)" for share in (4, 2, 1) for e in (Eps(1, 5), Eps(1, 10), Eps(1, 20))
+), lambda df: df.select("eps", "parts", (F.col("n_big") <= F.col("n")).alias("big_kept"), (F.col("sigma") <= F.col("most_stored")).alias("few")))
+
+
 def entry(spark: SparkSession, sf_dir: str) -> DataFrame:
     """Flagship: bins for the order lines by quantity, from the rounded summary, beside its bounds."""
     return estimate.with_guarantee(estimate.pack(tables.quantity_items(spark, sf_dir), Eps(3, 5)))

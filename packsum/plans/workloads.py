@@ -2,6 +2,7 @@
 
 from __future__ import annotations
 
+from fractions import Fraction
 from functools import reduce
 
 from pyspark.sql import DataFrame, SparkSession
@@ -9,7 +10,7 @@ from pyspark.sql import functions as F
 
 from packsum.operators import containers, estimate, makespan, ranking, typed, vectors
 from packsum.operators.estimate import PackHow
-from packsum.params import Eps, container_gamma, lower_bound_comparison
+from packsum.params import Eps, container_gamma, lower_bound_comparison, lower_bound_randomised
 from packsum.sources import tables
 
 TARGETS = (Eps(1, 1), Eps(3, 5), Eps(3, 10), Eps(3, 20))
@@ -31,7 +32,8 @@ def w01_quantity(spark: SparkSession, d: str) -> DataFrame:
 
 def w02_price(spark: SparkSession, d: str) -> DataFrame:
     items = tables.price_items(spark, d)
-    return _union([_packed(items, "price", TARGETS[:3], PackHow(solver="ffd", summary=s)) for s in ("exact", "builtin", "random", "universe")])
+    kinds = [_packed(items, "price", TARGETS[:3], PackHow(solver="ffd", summary=s)) for s in ("exact", "builtin", "random", "universe")]
+    return _union([*kinds, _packed(items, "price", TARGETS[3:], PackHow(solver="ffd")), _packed(items, "price", TARGETS[1:2], PackHow(solver="lp")), _packed(items, "price", TARGETS[1:2], PackHow(solver="ffd", summary="sequential"))])
 
 
 def w03_documents(spark: SparkSession, d: str) -> DataFrame:
@@ -39,14 +41,19 @@ def w03_documents(spark: SparkSession, d: str) -> DataFrame:
 
 
 def w04_events(spark: SparkSession, d: str) -> DataFrame:
-    return _packed(tables.event_items(spark, d), "events", TARGETS, PackHow(solver="ffd"))
+    items = tables.event_items(spark, d)
+    return _union([_packed(items, "events", TARGETS, PackHow(solver="ffd")), *(_packed(items, "events", TARGETS[:2], PackHow(solver=k)) for k in ("bfd", "lp"))])
 
 
 def w05_streams(spark: SparkSession, d: str) -> DataFrame:
     nation = _packed(tables.nation_items(spark, d), "nations", (Eps(3, 5),)).withColumnRenamed("n_name", "stream_key")
     role = _packed(tables.turn_items(spark, d), "roles", (Eps(3, 5),)).withColumnRenamed("role", "stream_key")
     pages = _packed(tables.page_items(spark, d), "pages", (Eps(3, 5),)).withColumn("stream_key", F.lit("all"))
-    return _union([nation, role, pages])
+    users = tables.event_items(spark, d)
+    users = _packed(tables.Items(users.df.select(F.col("user_id").cast("string").alias("stream_key"), "size_units"), users.cap, ("stream_key",)), "users", (Eps(3, 5),), PackHow(solver="ffd"))
+    docs = tables.document_items(spark, d)
+    langs = tables.Items(tables.read(spark, d, "documents").select(F.coalesce("lang", F.lit("none")).alias("stream_key"), F.col("n_chars").cast("long").alias("size_units")), docs.cap, ("stream_key",))
+    return _union([nation, role, pages, users, _packed(langs, "languages", (Eps(3, 5),))])
 
 
 def w06_line_vectors(spark: SparkSession, d: str) -> DataFrame:
@@ -88,11 +95,18 @@ def w10_containers(spark: SparkSession, d: str, cases: tuple = ((8, Eps(1, 1)),
 
 
 def w11_tight(spark: SparkSession, d: str) -> DataFrame:
+    """The tight instance itself, through sequential containers and prefix buckets; the optimum of each summary beside
+    what is proved of the container that groups the small jobs."""
     rows = []
     for m, inv in ((2, 2), (2, 4), (3, 3)):
-        summary = [tuple(inv if k in (i, m) else 0 for k in range(m + 1)) for i in range(m)] + [(1,) * m + (0,)] * ((m - 1) * inv)
-        rows.append((m, inv, containers.optimum_exact(summary, m, 16) / inv, 2 - 1 / m))
-    return spark.createDataFrame(rows, "machines int, inv_gamma int, summary_optimum double, proved_least double")
+        v = tables.tight_instance(spark, m, inv)
+        gamma = Fraction(1, inv)
+        grouped = [tuple(inv if k in (i, m) else 0 for k in range(m + 1)) for i in range(m)] + [(1,) * m + (0,)] * ((m - 1) * inv)
+        for method, s in (("sequential", containers.containers_sequential(v, m, gamma)), ("grouped", None)):
+            summary = grouped if s is None else [tuple(r["vec"]) for r in s.collect()]
+            jobs = m + m * (m - 1) * inv if s is None else s.agg(F.sum("n_jobs")).first()[0]
+            rows.append((method, m, inv, int(jobs), containers.optimum_exact(summary, m, 16) / inv, 2 - 1 / m))
+    return spark.createDataFrame(rows, "method string, machines int, inv_gamma int, jobs long, summary_optimum double, proved_least double")
 
 
 def w12_typed(spark: SparkSession, d: str) -> DataFrame:
@@ -115,7 +129,8 @@ def w13_orders(spark: SparkSession, d: str) -> DataFrame:
 
 
 def w14_growth(spark: SparkSession, d: str) -> DataFrame:
-    """Stored sizes against precision and input: halves of the order lines, doubled."""
+    """Stored sizes against precision and input: a quarter, a half and all of the order lines, beside the proved bound of
+    the exact grid (4 / eps and two ends for each octave) and the least that any comparison-based summary stores."""
     lines = tables.price_items(spark, d)
     parts = []
     for share in (4, 2, 1):
@@ -123,7 +138,7 @@ def w14_growth(spark: SparkSession, d: str) -> DataFrame:
         for e in (Eps(1, 5), Eps(1, 10), Eps(1, 20)):
             inst = estimate.rounded(items, e, "octaves", "exact")
             n = items.df.count()
-            parts.append(inst.agg(F.count_distinct("size_units").alias("sigma"), F.sum("multiplicity").cast("long").alias("n_big")).select("sigma", "n_big", F.lit(e.label).alias("eps"), F.lit(n).alias("n"), F.lit(lower_bound_comparison(e, n)).alias("least_stored")))
+            parts.append(inst.agg(F.count_distinct("size_units").alias("sigma"), F.sum("multiplicity").cast("long").alias("n_big")).select("sigma", "n_big", F.lit(e.label).alias("eps"), F.lit(n).alias("n"), F.lit(lower_bound_comparison(e, n)).alias("least_stored"), F.lit(lower_bound_randomised(e, 1e-4)).alias("least_stored_random"), F.lit(share).alias("parts"), F.lit(e.octaves * (-(-8 * e.den // e.num) + 2)).alias("most_stored")))
     return _union(parts)
 
 
