@@ -1,7 +1,7 @@
 """Operator 3: information-theoretic sanitisation of personal data, in built-in expressions only.
 
 Protected entities are the e-mail addresses, IP addresses, card and phone numbers that patterns find. For every word
-that stands near an entity, corpus counts give the disclosure ratio: the pointwise mutual information of word and
+that stands near an entity (within ``near`` code points, and before the next match of its kind), corpus counts give the disclosure ratio: the pointwise mutual information of word and
 entity over the information content of the entity, which is 1 where the word occurs nowhere else. Words above the
 removal threshold are removed, words above the generalisation threshold are replaced by their shape, and words with
 too few joint occurrences to estimate are left. A word that discloses is marked wherever it stands, in every text, near
@@ -19,7 +19,7 @@ from pyspark.sql import Column, DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
 from packsum.llm.runtime import materialize
-from packsum.llm.textexpr import let, word_array
+from packsum.llm.textexpr import let, word_array, word_count
 
 # Kinds in order, what a match looks like, and what must be in a text that can hold one. Possessive
 # repeats and the start condition keep long runs of one character class linear; they change no match.
@@ -36,7 +36,9 @@ BYTE_PART = "0*(?:25[0-5]|2[0-4][0-9]|1[0-9][0-9]|[1-9]?[0-9])"
 LETTERS = r"\p{L}\p{M}"
 TERM = rf"(?<=[\x20\x09-\x0D])[{LETTERS}]{{3,}}+(?=[.,;:!?]*[\x20\x09-\x0D])"
 WORD = rf"(?<![^\x20\x09-\x0D])[{LETTERS}]{{3,}}+(?=[.,;:!?]*(?:[\x20\x09-\x0D]|\z))"
-SPAN = "array<struct<start:int,kind:int,end:int,value:string>>"
+SPAN = "array<struct<start:int,kind:int,end:int,value:string,near:array<string>>>"
+#: Items that a fold takes between copies of what it has gathered.
+BLOCK = 256
 
 
 @dataclass(frozen=True)
@@ -65,73 +67,79 @@ def holds(kind: str, match: Column) -> Column:
     return let(digits, lambda d: F.length(d).between(low, high) & (luhn(d) if kind == "card" else F.lit(True)))
 
 
-def located(text: Column, pattern: str, keep=lambda m: F.lit(True)) -> Column:
-    """Matches of a pattern that pass ``keep``, as an array of "start:end" strings in order.
+def in_blocks(items: Column) -> Column:
+    """An array as an array of runs of ``BLOCK``, so that what a fold grows is copied once a run and not once an item."""
+    runs = F.sequence(F.lit(0), F.floor((F.size(items) - 1) / BLOCK).cast("int"))
+    return F.when(F.size(items) > 0, F.transform(runs, lambda i: F.slice(items, i * BLOCK + 1, BLOCK))).otherwise(F.array(F.slice(items, 1, 0)))
 
-    Splitting by the pattern gives what lies between matches, so running lengths give places. Places are gathered in
-    one string, which grows in place of an array that each step would copy.
+
+def places(steps: Column) -> Column:
+    """Places of the kept steps as an array of "start:end" strings in order; a step is a match, what lies before it, and
+    whether it is kept.
+
+    Running lengths give places. They are gathered in one string, which grows in place of an array.
     """
-    between, matches = F.split(text, pattern, -1), F.regexp_extract_all(text, F.lit(pattern), F.lit(0))
-    steps = F.arrays_zip(matches.alias("m"), F.slice(between, 1, F.size(matches)).alias("b"))
 
     def step(a: Column, x: Column) -> Column:
         start = a["pos"] + F.length(x["b"])
         end = start + F.length(x["m"])
         place = F.concat_ws(":", start.cast("string"), end.cast("string"))
-        return F.struct(end.alias("pos"), F.when(keep(x["m"]), F.concat(a["out"], F.lit(","), place)).otherwise(a["out"]).alias("out"))
+        return F.struct(end.alias("pos"), F.when(x["k"], F.concat(a["out"], F.lit(","), place)).otherwise(a["out"]).alias("out"))
 
-    start = F.struct(F.lit(0).alias("pos"), F.lit("").alias("out"))
-    joined = F.aggregate(F.when(F.size(matches) > 0, steps).otherwise(F.slice(steps, 1, 0)), start, step, lambda a: a["out"])
-    return F.filter(F.split(joined, ","), lambda p: p != "")
+    def block(a: Column, steps: Column) -> Column:
+        own = F.aggregate(steps, F.struct(a["pos"].alias("pos"), F.lit("").alias("out")), step)
+        return let(own, lambda r: F.struct(r["pos"].alias("pos"), F.concat(a["out"], r["out"]).alias("out")))
 
+    joined = F.aggregate(in_blocks(steps), F.struct(F.lit(0).alias("pos"), F.lit("").alias("out")), block, lambda a: a["out"])
+    return F.filter(F.split(joined, ","), lambda p: p != "")
 
-def bounds(place: Column) -> tuple[Column, Column]:
-    return F.split(place, ":").getItem(0).cast("int"), F.split(place, ":").getItem(1).cast("int")
 
+def spans_of(text: Column, number: int, near: int) -> Column:
+    """Spans of a kind, each with its value and the words within reach, up to the next match of the kind.
 
-def spans_of(text: Column, number: int) -> Column:
+    Splitting by the pattern gives what lies between matches. A word counts where it is whole: inside its reach, or up to
+    the text's own ends.
+    """
     kind = KINDS[number]
+    between, matches = F.split(text, PATTERNS[kind], -1), F.regexp_extract_all(text, F.lit(PATTERNS[kind]), F.lit(0))
+    words = lambda chunk: F.transform(F.regexp_extract_all(chunk, F.lit(TERM), F.lit(0)), F.lower)
 
-    def span(place: Column) -> Column:
-        start, end = bounds(place)
-        return F.struct(start.alias("start"), F.lit(number).alias("kind"), end.alias("end"), F.substring(text, start + 1, end - start).alias("value"))
-
-    gate = F.contains(text, F.lit("@")) if kind == "email" else text.rlike(GATES[kind])
-    found = F.transform(located(text, PATTERNS[kind], lambda m: holds(kind, m)), span)
-    return F.when(gate, found).otherwise(F.array().cast(SPAN))
+    def steps(m: Column, b: Column, n: Column) -> Column:
+        every = F.arrays_zip(m.alias("m"), F.slice(b, 1, n).alias("b"), F.slice(b, 2, n).alias("a"))
 
+        def seen(x: Column, i: Column) -> Column:
+            left = F.when(F.length(x["b"]) > near, F.right(x["b"], F.lit(near))).otherwise(F.concat(F.when(i == 0, F.lit(" ")).otherwise(F.lit("")), x["b"]))
+            right = F.when(F.length(x["a"]) > near, F.left(x["a"], F.lit(near))).otherwise(F.concat(x["a"], F.when(i == n - 1, F.lit(" ")).otherwise(F.lit(""))))
+            keep = holds(kind, x["m"])
+            return F.struct(x["m"].alias("m"), x["b"].alias("b"), keep.alias("k"), F.when(keep, F.concat(words(left), words(right))).alias("near"))
 
-def base_spans(text: Column) -> Column:
-    return F.sort_array(F.concat(*(spans_of(text, i) for i in range(len(KINDS)))))
+        return F.transform(every, seen)
 
+    def spans(found: Column) -> Column:
+        def span(place: Column, x: Column) -> Column:
+            part = F.split(place, ":")
+            return F.struct(part.getItem(0).cast("int").alias("start"), F.lit(number).alias("kind"), part.getItem(1).cast("int").alias("end"), x["m"].alias("value"), x["near"].alias("near"))
 
-def entity(span: Column) -> Column:
-    value = F.when(span["kind"] >= 2, F.regexp_replace(span["value"], "[^0-9]", "")).otherwise(F.lower(span["value"]))
-    return F.concat_ws(":", span["kind"].cast("string"), value)
+        return F.zip_with(places(found), F.filter(found, lambda x: x["k"]), span)
 
+    gate = F.contains(text, F.lit("@")) if kind == "email" else text.rlike(GATES[kind])
+    found = let(matches, lambda m: let(between, lambda b: let(F.size(m), lambda n: steps(m, b, n))))  # each computed once a text
+    return F.when(gate, let(found, spans)).otherwise(F.array().cast(SPAN))
 
-def near_terms(text: Column, spans: Column, near: int) -> Column:
-    """Words within reach of each entity: (entity, word, start, end)."""
-
-    def terms(span: Column, begin: Column, size: Column) -> Column:
-        def term(place: Column) -> Column:
-            a, b = (x + begin for x in bounds(place))
-            return F.struct(entity(span).alias("entity"), F.lower(F.substring(text, a + 1, b - a)).alias("term"), a.alias("start"), b.alias("end"))
 
-        return F.transform(let(F.substring(text, begin + 1, size), lambda c: located(c, TERM)), term)
+def base_spans(text: Column, near: int) -> Column:
+    return F.sort_array(F.concat(*(spans_of(text, i, near) for i in range(len(KINDS)))))
 
-    def around(span: Column) -> Column:
-        left = F.greatest(F.lit(0), span["start"] - near)
-        return F.concat(terms(span, left, span["start"] - left), terms(span, span["end"], F.lit(near)))
 
-    return F.flatten(F.transform(spans, around))
+def entity(span: Column) -> Column:
+    value = F.when(span["kind"] >= 2, F.regexp_replace(span["value"], "[^0-9]", "")).otherwise(F.lower(span["value"]))
+    return F.concat_ws(":", span["kind"].cast("string"), value)
 
 
 def spotted(docs: DataFrame, how: Disclosure, doc_id: str = "doc_id", text: str = "text") -> DataFrame:
-    """Entities of every row, and the words near them."""
+    """Entities of every row, each with the words near it."""
     own = docs.select(F.col(doc_id).cast("long").alias("doc_id"), F.coalesce(F.col(text), F.lit("")).alias("text"))
-    own = own.select("doc_id", "text", F.xxhash64("text").alias("tkey"), base_spans(F.col("text")).alias("base"))
-    return own.select("doc_id", "tkey", "base", F.when(F.size("base") > 0, near_terms(F.col("text"), F.col("base"), how.near)).alias("terms"))
+    return own.select("doc_id", F.xxhash64("text").alias("tkey"), base_spans(F.col("text"), how.near).alias("base"))
 
 
 def plain_words(text: Column) -> Column:
@@ -145,16 +153,17 @@ def few_rows(df: DataFrame, how: Disclosure) -> bool:
 
 def disclosing(found: DataFrame, docs: DataFrame, how: Disclosure, text: str = "text") -> DataFrame:
     """(entity, term, ratio) of words that tell too much."""
-    joint = found.select(F.explode("terms").alias("x")).groupBy(F.col("x.entity").alias("entity"), F.col("x.term").alias("term")).agg(F.count(F.lit(1)).alias("joint")).filter(F.col("joint") >= how.least_joint)
+    told = found.select(F.explode("base").alias("s")).select(entity(F.col("s")).alias("entity"), "s.near")
+    joint = told.select("entity", F.explode("near").alias("term")).groupBy("entity", "term").agg(F.count(F.lit(1)).alias("joint")).filter(F.col("joint") >= how.least_joint)
     joint = materialize(joint)
-    mentions = found.select(F.explode("base").alias("s")).groupBy(entity(F.col("s")).alias("entity")).agg(F.count(F.lit(1)).alias("mentions"))
+    mentions = materialize(told.groupBy("entity").agg(F.count(F.lit(1)).alias("mentions")))  # on its own, so that a join by an entity met everywhere can be split
     wanted = joint.select("term").distinct()
     tokens = docs.select(F.explode(plain_words(F.col(text))).alias("term"))
     if few_rows(wanted, how):  # the checked side is small; otherwise counts are summed before they meet it
         totals = tokens.join(F.broadcast(wanted), "term").groupBy("term").agg(F.count(F.lit(1)).alias("total"))
     else:
         totals = tokens.groupBy("term").agg(F.count(F.lit(1)).alias("total")).join(wanted, "term")
-    size = docs.agg(F.coalesce(F.sum(F.length(text)), F.lit(0)).alias("n")).first()["n"] / 6 + 2  # words, about; only its order matters
+    size = docs.agg(F.coalesce(F.sum(word_count(F.col(text))), F.lit(0)).alias("n")).first()["n"] + 2  # words of all texts
     rated = joint.join(totals, "term").join(mentions, "entity")
     ratio = 1 + F.log2(F.least(F.lit(1.0), F.col("joint") / F.col("total"))) / F.log2(F.greatest(F.lit(float(size)) / F.col("mentions"), F.lit(2.0)))
     return rated.select("entity", "term", ratio.alias("ratio")).filter(F.col("ratio") >= how.generalise)
@@ -208,12 +217,24 @@ def sanitise(docs: DataFrame, how: Disclosure = Disclosure()) -> DataFrame:
     told = F.transform("_p_told", lambda s: F.struct(s["start"].alias("start"), s["end"].alias("end"), F.when(s["ratio"] >= how.remove, F.lit("")).otherwise(F.lit("[WORD]")).alias("by")))
     every = F.sort_array(F.concat(base, F.coalesce(told, F.array().cast("array<struct<start:int,end:int,by:string>>"))))
 
-    def step(a: Column, s: Column) -> Column:
-        kept = F.substring(F.col("text"), a["pos"] + 1, F.greatest(F.lit(0), s["start"] - a["pos"]))
-        return F.struct(F.greatest(a["pos"], s["end"]).alias("pos"), F.concat(a["out"], kept, F.when(s["start"] >= a["pos"], s["by"]).otherwise(F.lit(""))).alias("out"))
+    state = lambda pos, out: F.struct(pos.cast("int").alias("pos"), out.alias("out"))
+
+    def block(a: Column, spans: Column) -> Column:
+        """A run of spans works on its own stretch of the text, so that no span cuts from the start of a long one."""
+        begin, reach = a["pos"], F.greatest(a["pos"], F.array_max(F.transform(spans, lambda s: s["end"])))
+
+        def cut(stretch: Column) -> Column:
+            def step(a: Column, s: Column) -> Column:
+                kept = F.substring(stretch, a["pos"] - begin + 1, F.greatest(F.lit(0), s["start"] - a["pos"]))
+                return state(F.greatest(a["pos"], s["end"]), F.concat(a["out"], kept, F.when(s["start"] >= a["pos"], s["by"]).otherwise(F.lit(""))))
+
+            return F.aggregate(spans, state(begin, F.lit("")), step)
+
+        own = let(F.substring(F.col("text"), begin + 1, reach - begin), cut)
+        return let(own, lambda r: state(r["pos"], F.concat(a["out"], r["out"])))
 
-    start = F.struct(F.lit(0).alias("pos"), F.lit("").alias("out"))
-    clean = F.aggregate(every, start, step, lambda a: F.concat(a["out"], F.substring(F.col("text"), a["pos"] + 1, F.length("text"))))
+    runs = F.filter(in_blocks(every), lambda x: F.size(x) > 0)
+    clean = F.aggregate(runs, state(F.lit(0), F.lit("")), block, lambda a: F.concat(a["out"], F.substring(F.col("text"), a["pos"] + 1, F.length("text"))))
     out = both.withColumn("text", F.when(F.col("_p_base").isNotNull(), clean).otherwise(F.col("text")))
     if "n_chars" in docs.columns:
         out = out.withColumn("n_chars", F.when(F.col("_p_base").isNotNull(), F.length("text").cast(docs.schema["n_chars"].dataType)).otherwise(F.col("n_chars")))

@@ -295,6 +295,44 @@ def test_disclosing_words_go_wherever_they_stand(spark):
     assert all("quirkyname" not in clean[i].lower() for i in (0, 19, 20)) and clean[21] == "x.QUIRKYNAME stays, é😀 !" and clean[22] == texts[22]
 
 
+def test_disclosing_words_at_the_ends_of_texts(spark):
+    filler = ["plain filler of many letters " * 6] * 12
+    rows = privacy.digest(docs_of(spark, ["quirkyname boss@corp.example.com"] * 3 + ["boss@corp.example.com oddword"] * 4 + filler)).orderBy("doc_id").collect()
+    assert all("term:0:10" in r["spans"] for r in rows[:3]) and all("term:22:29" in r["spans"] for r in rows[3:7])
+
+
+def test_personal_data_in_very_long_texts(spark, tmp_path):
+    """Many matches and long runs in one text take time in proportion to its length."""
+    texts = ["7" * 300_000, "+1" * 100_000, "1.2.3.4 " * 30_000, "a@b.cc " * 30_000 + "tail", "x" * 200_000]
+    spark.createDataFrame(list(enumerate(texts)), "doc_id long, text string").write.parquet(f"{tmp_path}/d")
+    docs = spark.read.parquet(f"{tmp_path}/d")
+    rows = privacy.digest(docs).orderBy("doc_id").collect()
+    assert [(r["n_email"], r["n_ip"], r["n_card"], r["n_phone"]) for r in rows] == [(0, 0, 0, 0), (0, 0, 0, 0), (0, 30_000, 0, 0), (30_000, 0, 0, 0), (0, 0, 0, 0)]
+    assert rows[2]["spans"].split(",")[-1] == "ip:239992:239999"
+    clean = [r["text"] for r in privacy.sanitise(docs).orderBy("doc_id").collect()]
+    assert clean[2] == "[IP] " * 30_000 and clean[3] == "[EMAIL] " * 30_000 + "tail" and clean[0] == texts[0]
+
+
+def test_best_fit_equals_item_by_item():
+    rng = np.random.default_rng(3)
+    for _ in range(200):
+        sizes = Counter(rng.integers(1, 101, rng.integers(0, 80)).tolist())
+        gaps = []
+        for size in sorted(sizes.elements(), reverse=True):
+            fit = min((g for g in gaps if g >= size), default=None)
+            if fit is not None:
+                gaps.remove(fit)
+            gaps.append((100 if fit is None else fit) - size)
+        steps = packing.best_fit(dict(sizes), 100)
+        used = {first + k // per for _, lo, hi, first, per, _ in steps for k in range(hi - lo)}
+        assert len(used) == len(gaps)
+        held = Counter()
+        for size, lo, hi, first, per, _ in steps:
+            for k in range(hi - lo):
+                held[first + k // per] += size
+        assert sorted(100 - v for v in held.values()) == sorted(gaps)
+
+
 def test_language(spark):
     en, fr = "the cat and the dog went to the house with this thing", "le chat et les chiens dans une maison avec été où"
     texts = [f"{(en, fr)[i % 2]} {i}" for i in range(80)] + [None, "", "123 456 !!", en * 300, fr]
@@ -480,14 +518,52 @@ def test_null_identifiers_and_columns(spark):
 
 
 def test_pipeline_stages(spark, tiny):
+    """Each stage against what its operator decides, on the rows that the stage before it kept."""
     import corpus_pipeline
 
     docs = spark.read.parquet(f"{tiny}/documents.parquet")
-    sizes = [docs.count()]
-    for k, (_, stage) in enumerate(corpus_pipeline.STAGES):
-        out = stage(spark, docs, tiny)
+    labels = spark.read.parquet(f"{tiny}/labels.parquet")
+    kept = []
+    for k, (name, stage) in enumerate(corpus_pipeline.STAGES):
+        out = corpus_pipeline.materialize(stage(spark, docs, tiny))
         if k + 1 < len(corpus_pipeline.STAGES):
             assert out.columns == docs.columns
-        docs = corpus_pipeline.materialize(out)
-        sizes.append(docs.count())
-    assert sizes[0] >= sizes[1] >= sizes[2] == sizes[3] > 0 and sizes[5] >= 1
+        before, after = docs.collect(), out.collect()
+        kept.append(len(after))
+        texts = {r["doc_id"]: r["text"] for r in before}
+        if name == "toxicity":
+            told = {r["doc_id"]: r["predicted"] for r in toxicity.toxicity(docs, labels).collect()}
+            assert sorted(r["doc_id"] for r in after) == sorted(i for i, x in told.items() if not x)
+        elif name == "jaccard_join":
+            sets = {i: {" ".join(w[j : j + 3]) for j in range(max(1, len(w) - 2))} if w else set() for i, w in ((i, words((t or "").lower())) for i, t in texts.items())}
+            group = {i: i for i in texts}
+            for i in sorted(texts):
+                for j in sorted(texts):
+                    if i < j and sets[i] and sets[j] and 100 * len(sets[i] & sets[j]) >= 90 * len(sets[i] | sets[j]):
+                        a, b = group[i], group[j]
+                        group = {x: min(a, b) if g in (a, b) else g for x, g in group.items()}
+            assert sorted(r["doc_id"] for r in after) == sorted(set(group.values()))
+        elif name == "sanitisation":
+            assert sorted(r["doc_id"] for r in after) == sorted(texts)
+            assert not any(re.search(r"[A-Za-z0-9._%+-]+@[A-Za-z0-9-]+(\.[A-Za-z0-9-]+)+", r["text"] or "") for r in after)
+        elif name == "source_mixing":
+            taken = {r["doc_id"]: r["taken"] for r in mixing.mix(docs).collect()}
+            held = Counter()
+            for r in after:
+                held[r["doc_id"]] += len(words(r["text"]))
+            assert held == Counter({i: n for i, n in taken.items() if n})
+        else:
+            ids = tokens.encode(pa.array([r["text"] for r in before]), tokens.vocabulary_path(), 1)[0]
+            assert sum(r["length"] for r in after) == len(ids)
+            full = Counter()
+            for r in after:
+                full[r["sequence_id"]] += r["length"]
+            assert max(full.values()) <= 4096 and len(full) >= -(-len(ids) // 4096)
+        docs = out
+    assert kept[0] >= kept[1] == kept[2] > 0
+    for texts, flags in ((["x"], []), (["you stupid moron idiot"] * 3, [(0, 1), (1, 1), (2, 1)])):  # nothing left for later stages
+        docs = docs_of(spark, texts).select(*spark.read.parquet(f"{tiny}/documents.parquet").columns)
+        docs = docs if flags else docs.limit(0)
+        for _, stage in corpus_pipeline.STAGES[1:] if not flags else corpus_pipeline.STAGES[2:]:
+            docs = corpus_pipeline.materialize(stage(spark, docs.limit(0), tiny))
+        assert docs.count() == 0
