@@ -17,7 +17,7 @@ from dataclasses import dataclass, field
 import numpy as np
 import pyarrow as pa
 import pyarrow.compute as pc
-from pyspark.sql import Column, DataFrame, SparkSession
+from pyspark.sql import Column, DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
 from packsum.llm.runtime import held_out, pieces
@@ -56,18 +56,21 @@ class Network:
 
 
 def labelled_windows(docs: DataFrame, how: Training, doc_id: str, text: str, lang: str, learn: Column) -> tuple[np.ndarray, np.ndarray, list[str]]:
-    """A bounded sample of training windows; counts by language set the sampling rate, so no language is missed."""
+    """A bounded sample of training windows: of each language, the documents least by a seeded hash, so that reruns learn
+    from the same. Counts by language set the rate of what is ranked, so no language is missed."""
     known = docs.filter(learn & F.col(lang).isNotNull() & F.col(text).isNotNull())
     counts = {r[0]: r[1] for r in known.groupBy(F.col(lang)).count().collect()}
     if not counts:
         return np.empty((0, how.window), np.uint8), np.empty(0, np.int64), []
     languages = sorted(counts)
-    rate = F.create_map(*(x for k, n in counts.items() for x in (F.lit(k), F.lit(min(1.0, 1.2 * how.documents_per_language / n)))))
+    rate = F.create_map(*(x for k, n in counts.items() for x in (F.lit(k), F.lit(min(1.0, (2 * how.documents_per_language + 50) / n)))))
     spot = F.pmod(F.xxhash64(F.lit(how.seed), F.col(doc_id), F.col(text)), F.lit(1_000_000)) / 1_000_000
-    chosen = known.filter(spot < F.element_at(rate, F.col(lang)))
+    least = Window.partitionBy(F.col(lang)).orderBy("_spot", F.col(doc_id), F.col(text))
+    chosen = known.withColumn("_spot", spot).filter(F.col("_spot") < F.element_at(rate, F.col(lang)))
+    chosen = chosen.withColumn("_place", F.row_number().over(least)).filter(F.col("_place") <= how.documents_per_language)
     span = how.window * 2
     cuts = [F.substring(F.col(text), (F.pmod(F.xxhash64(F.lit(k), F.col(text)), F.greatest(F.length(text) - how.window, F.lit(1))) + 1).cast("int"), F.lit(span)) for k in range(how.windows_per_document)]
-    rows = chosen.select(F.col(lang).alias("lang"), F.array(*cuts).alias("cuts")).limit(len(languages) * how.documents_per_language * 2).collect()
+    rows = chosen.select(F.col(lang).alias("lang"), F.array(*cuts).alias("cuts"), "_place").orderBy("lang", "_place").collect()  # at most documents_per_language rows a language
     x, y = [], []
     for r in rows:
         for cut in r["cuts"]:
