@@ -30,7 +30,8 @@ class MixPlan:
     most_repeats: int = 2
     seed: int = 11
     buckets: int = 256
-    block_words: int = 512
+    block_words: int = 512  # at least; doubled until there are at most ``most_blocks``
+    most_blocks: int = 500_000_000  # numpy draws exactly from populations below 10**9
     shards: int = 64
 
 
@@ -106,7 +107,8 @@ def handed_out(sizes: DataFrame, plan: MixPlan = PLAN) -> tuple[DataFrame, DataF
     lap = rows.filter("size > 0").withColumn("lap", F.explode(F.sequence(F.lit(0), F.lit(plan.most_repeats - 1))))
     lap = lap.withColumn("lo", F.col("lap") * F.col("source_size") + F.col("begin"))
     lap = lap.withColumn("hi", F.least(F.col("lo") + F.col("size"), F.floor(F.col("target") + 0.5))).filter("lo < hi")
-    of_word = lambda w: F.floor(w / plan.block_words).cast("long")
+    each = block_words(targets, plan)
+    of_word = lambda w: F.floor(w / each).cast("long")
     touched = lap.select("rid", "lap", "size", "lo", "hi", F.col("source").alias("_source"), F.explode(F.sequence(of_word(F.col("lo")), of_word(F.col("hi") - 1))).alias("_block"))
     held = touched.join(owned_blocks(targets, plan), F.col("_source").eqNullSafe(F.col("source")) & (F.col("_block") == F.col("block")))
     words = F.least("hi", F.col("first_word") + F.col("n_words")) - F.greatest("lo", "first_word")
@@ -145,7 +147,7 @@ def split_quotas(quotas: dict[str, int], shards: int, seed: int) -> np.ndarray:
         for k, n in enumerate(have):
             n = int(n)
             rest -= n
-            left[k] = _hypergeometric(rng, n, rest, want)
+            left[k] = int(rng.hypergeometric(n, rest, want)) if want else 0
             want -= int(left[k])
         part(lo, mid, left)
         part(mid, hi, have - left)
@@ -154,28 +156,24 @@ def split_quotas(quotas: dict[str, int], shards: int, seed: int) -> np.ndarray:
     return out
 
 
-def _hypergeometric(rng: np.random.Generator, good: int, bad: int, draw: int) -> int:
-    """numpy's draw, and beyond the populations it accepts the normal limit, held to what is possible."""
-    if good + bad < 1_000_000_000:
-        return int(rng.hypergeometric(good, bad, draw)) if draw else 0
-    mean = draw * (good / (good + bad))
-    spread = (mean * (bad / (good + bad)) * ((good + bad - draw) / max(good + bad - 1, 1))) ** 0.5
-    return int(min(good, draw, max(0, draw - bad, round(rng.normal(mean, spread)))))
-
-
 def shard_blocks(docs: DataFrame, plan: MixPlan = PLAN, **columns: str) -> DataFrame:
     """The mixed stream as blocks: (shard, place, source, block, first word, words), disjoint and exhaustive."""
     return owned_blocks(source_targets(sized(docs, plan, **columns), plan), plan)
 
 
+def block_words(targets: DataFrame, plan: MixPlan) -> int:
+    total = targets.agg(F.sum(F.floor(F.col("target") + 0.5))).first()[0] or 0
+    return plan.block_words << max(0, int(-(-total // plan.block_words) // plan.most_blocks).bit_length())
+
+
 def owned_blocks(targets: DataFrame, plan: MixPlan = PLAN) -> DataFrame:
     """The blocks of all sources with their shards and places.
 
     Blocks of a source are ranked by a seeded permutation; the shard whose cumulated quota holds the rank owns the
     block. One row a source goes to the driver, for the tree.
     """
-    words = F.floor(F.col("target") + 0.5)
-    table = targets.select("source", words.alias("words"), F.ceil(words / plan.block_words).cast("long").alias("blocks")).filter("blocks > 0")
+    words, each = F.floor(F.col("target") + 0.5), block_words(targets, plan)
+    table = targets.select("source", words.alias("words"), F.ceil(words / each).cast("long").alias("blocks")).filter("blocks > 0")
     rows = sorted(table.collect(), key=lambda r: (r["source"] is None, r["source"]))
     spark = targets.sparkSession
     quotas = {r["source"]: r["blocks"] for r in rows}
@@ -199,7 +197,7 @@ def owned_blocks(targets: DataFrame, plan: MixPlan = PLAN) -> DataFrame:
     o = owners.select(F.col("source").alias("os"), "shard", "lo", "hi")
     owned = ranked.join(F.broadcast(o) if len(lines) <= 50_000 else o, F.col("source").eqNullSafe(F.col("os")) & (F.col("rank") >= F.col("lo")) & (F.col("rank") < F.col("hi")))
     place = F.xxhash64(F.lit(plan.seed + 1), "source", "block")
-    return owned.select("shard", place.alias("place"), "source", "block", (F.col("block") * plan.block_words).alias("first_word"), F.least(F.lit(plan.block_words), F.col("words") - F.col("block") * plan.block_words).alias("n_words"))
+    return owned.select("shard", place.alias("place"), "source", "block", (F.col("block") * each).alias("first_word"), F.least(F.lit(each), F.col("words") - F.col("block") * each).alias("n_words"))
 
 
 def mixed_documents(docs: DataFrame, plan: MixPlan = PLAN) -> DataFrame:
