@@ -45,7 +45,8 @@ STAGES = [
     ("best_fit_packing", pack),
 ]
 
-#: Stages learn models and tokenise: no SQL expresses them. Tests hold each stage against its brute-force twin.
+#: Stages learn models and tokenise: no SQL expresses them. A test holds each stage's rows against its operator's
+#: decisions, and the join against brute force.
 ORACLE_SQL = None
 
 
