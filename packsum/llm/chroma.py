@@ -9,7 +9,8 @@ Noisy copies seldom share a whole integer, so the index has keys of bits drawn f
 tables. Which bits are steady is fitted on a bounded sample of classes (``Chroma.sample``); every recording is indexed.
 Keys lengthen with the logarithm of the number of classes, so that chance meetings stay in proportion to the rows, and
 tables become more with them, to hold the recall. A sketch of other bits of the same window screens what a key lets
-meet; whole fingerprints join only the pairs that are left.
+meet; whole fingerprints join only the pairs that are left. Of a group of noisy copies only a central leader stands in
+the index; the others are reached through it, so that a query meets the group in a few windows and not in all of them.
 
 The tables hold no audio, so the query renders each embedding as a melody, a documented stand-in for a media column.
 Recordings with equal fingerprints are one class; searches compare classes. Defined results: null or empty audio has an
@@ -49,6 +50,7 @@ class Chroma:
     steady: int = 12  # bits of an integer that keys draw from
     sample: int = 2048  # classes that the steady bits are fitted on
     sketch_errors: int = 12  # of 64 bits; steady bits differ in some 9 between copies at the bound
+    salts: int = 16  # parts of a leader's followers
     seed: int = 7
 
 
@@ -228,11 +230,45 @@ def postings(classes: DataFrame, plan: tuple, how: Chroma, side: str) -> DataFra
     return classes.select("class_id", "codes").mapInArrow(run, f"{names[0]} long, {names[1]} int, code long, {names[3]} long")
 
 
+def judged(pairs: DataFrame, known: DataFrame) -> DataFrame:
+    """(q_id, r_id, offset, overlap, errors) of pairs: bits that differ where both have integers at the offset."""
+    side = lambda p: known.select(F.col("class_id").alias(f"{p}_id"), F.col("codes").alias(f"{p}_codes"))
+    both = pairs.select("q_id", "r_id", "offset").join(side("q"), "q_id").join(side("r"), "r_id")
+    overlap = F.greatest(F.lit(0), F.least(F.size("q_codes"), F.size("r_codes") - F.col("offset")) - F.greatest(F.lit(0), -F.col("offset")))
+    first = F.greatest(F.lit(0), -F.col("offset"))
+    a, b = F.slice("q_codes", first + 1, overlap), F.slice("r_codes", first + F.col("offset") + 1, overlap)
+    errors = F.aggregate(F.zip_with(a, b, lambda x, y: F.bit_count(x.bitwiseXOR(y).bitwiseAND(F.lit(0xFFFFFFFF)))), F.lit(0), lambda t, x: t + x)
+    return both.select("q_id", "r_id", "offset", overlap.alias("overlap"), errors.alias("errors"))
+
+
+def followers(known: DataFrame, plan: tuple, how: Chroma) -> DataFrame:
+    """(f_id, leader, f_errors): classes that lie within the bound of a leader of the same length, at offset 0.
+
+    A class's weight is the number of its meetings under the first two tables' keys; of the classes that it meets it takes
+    the heaviest, which is central in a group of noisy copies. Leaders follow nobody: a class whose choice follows another
+    stays by itself, as does one whose choice is out of the bound. Work is in proportion to the windows: each key gives its
+    count and its heaviest class, never its pairs.
+    """
+    marks = materialize(postings(known, (plan[0][:2], plan[1]), how, "r").select("r_id", "code").distinct())
+    met = marks.groupBy("code").agg(F.count(F.lit(1)).alias("n")).filter("n > 1")
+    weight = marks.join(met, "code").groupBy("r_id").agg(F.sum(F.col("n") - 1).alias("weight"))
+    weighed = materialize(marks.join(weight, "r_id"))
+    heaviest = weighed.groupBy("code").agg(F.max(F.struct("weight", (-F.col("r_id")).alias("minus"))).alias("top"), F.count(F.lit(1)).alias("n")).filter("n > 1").drop("n")
+    chosen = weighed.join(heaviest, "code").groupBy("r_id").agg((-F.max("top")["minus"]).alias("leader")).filter(F.col("leader") != F.col("r_id"))
+    length = known.select("class_id", F.size("codes").alias("n"))
+    near = judged(chosen.select(F.col("r_id").alias("q_id"), F.col("leader").alias("r_id"), F.lit(0).alias("offset")), known)
+    near = near.join(length.toDF("q_id", "q_n"), "q_id").join(length.toDF("r_id", "r_n"), "r_id")
+    near = materialize(near.filter((F.col("q_n") == F.col("r_n")) & (F.col("errors") <= how.most_errors * 32 * F.col("q_n"))).select(F.col("q_id").alias("f_id"), F.col("r_id").alias("leader"), F.col("errors").alias("f_errors")))
+    return materialize(near.join(near.select(F.col("f_id").alias("leader")), "leader", "left_anti").select("f_id", "leader", "f_errors"))
+
+
 def search(prints: DataFrame, how: Chroma = Chroma()) -> DataFrame:
     """One row for each recording: its class, and for queries the classes that align with it.
 
     Queries are recordings whose identifier the modulus divides. Candidates share a key of a window; the offset that most
-    shared keys have in common is the alignment. Classes meet once, whatever their sizes.
+    shared keys have in common is the alignment. Classes meet once, whatever their sizes. Noisy copies are met through
+    their leader: only leaders and classes by themselves are looked up by keys, and a query that meets a leader is judged
+    with its followers at the same offset, but for those that the triangle inequality rules out.
     """
     rows = materialize(prints.withColumn("h", F.xxhash64("codes")))
     asks = F.max(F.coalesce((F.col("rec_id") % how.query_modulus == 0).cast("int"), F.lit(0)))
@@ -243,18 +279,25 @@ def search(prints: DataFrame, how: Chroma = Chroma()) -> DataFrame:
     length = usual["n"] if usual else 0
     taken = known.filter(F.size("codes") == length).select("h", "codes").orderBy("h").limit(how.sample).toArrow()["codes"]  # of bounded number
     plan = key_plan(total, steady_bits(np.array(taken.to_pylist(), np.int32).reshape(len(taken), length), how), how)
+    led = followers(known, plan, how)
+    queries = known.filter("asks = 1")
+    heads = known.join(led.select(F.col("f_id").alias("class_id")), "class_id", "left_anti")
     alike = F.bit_count(F.col("q_sketch").bitwiseXOR(F.col("r_sketch"))) <= how.sketch_errors
-    met = postings(known.filter("asks = 1"), plan, how, "q").alias("q").join(postings(known, plan, how, "r").alias("r"), (F.col("q.code") == F.col("r.code")) & (F.col("q_id") != F.col("r_id")) & alike)
+    met = postings(queries, plan, how, "q").alias("q").join(postings(heads, plan, how, "r").alias("r"), (F.col("q.code") == F.col("r.code")) & (F.col("q_id") != F.col("r_id")) & alike)
     votes = met.groupBy("q_id", "r_id", (F.col("r_at") - F.col("q_at")).alias("offset")).agg(F.count(F.lit(1)).alias("votes"))
-    best = votes.groupBy("q_id", "r_id").agg(F.max(F.struct("votes", -F.abs("offset"), "offset"))["offset"].alias("offset"))
-    side = lambda p: known.select(F.col("class_id").alias(f"{p}_id"), F.col("codes").alias(f"{p}_codes"))
-    both = best.join(side("q"), "q_id").join(side("r"), "r_id")
-    overlap = F.least(F.size("q_codes"), F.size("r_codes") - F.col("offset")) - F.greatest(F.lit(0), -F.col("offset"))
-    first = F.greatest(F.lit(0), -F.col("offset"))
-    a, b = F.slice("q_codes", first + 1, F.greatest(F.lit(0), overlap)), F.slice("r_codes", first + F.col("offset") + 1, F.greatest(F.lit(0), overlap))
-    errors = F.aggregate(F.zip_with(a, b, lambda x, y: F.bit_count(x.bitwiseXOR(y).bitwiseAND(F.lit(0xFFFFFFFF)))), F.lit(0), lambda t, x: t + x)
-    judged = both.select("q_id", "r_id", "offset", overlap.alias("overlap"), (errors / (32.0 * F.greatest(F.lit(1), overlap))).alias("bit_errors"))
-    links = judged.filter((F.col("overlap") >= how.least_overlap) & (F.col("bit_errors") <= how.most_errors))
+    asking = queries.select(F.col("class_id").alias("q_id"))
+    own = led.select(F.col("f_id").alias("q_id"), F.col("leader").alias("r_id"), F.lit(0).alias("offset"), F.lit(0).cast("long").alias("votes")).join(asking, "q_id", "left_semi")
+    best = votes.unionByName(own).groupBy("q_id", "r_id").agg(F.max(F.struct("votes", -F.abs("offset"), "offset"))["offset"].alias("offset"))
+    direct = materialize(judged(best, known))
+    most = how.most_errors * 32 * F.col("overlap")
+    itself = asking.select("q_id", F.col("q_id").alias("r_id"), F.lit(0).alias("offset"), F.lit(None).cast("int").alias("overlap"), F.lit(None).cast("int").alias("errors"))
+    reach = direct.filter(F.col("overlap") >= how.least_overlap).unionByName(itself).join(led.select(F.col("leader").alias("r_id")).distinct(), "r_id", "left_semi")
+    reach = reach.withColumnRenamed("r_id", "leader").withColumn("salt", F.explode(F.sequence(F.lit(0), F.lit(how.salts - 1))))
+    salted = led.withColumn("salt", F.pmod(F.xxhash64("f_id"), F.lit(how.salts)).cast("int"))
+    within = F.col("errors").isNull() | (F.col("errors") - F.col("f_errors") <= most)
+    through = reach.join(salted, ["leader", "salt"]).filter(within & (F.col("f_id") != F.col("q_id"))).select("q_id", F.col("f_id").alias("r_id"), "offset")
+    every = direct.unionByName(judged(through, known))
+    links = every.filter((F.col("overlap") >= how.least_overlap) & (F.col("errors") <= most)).withColumn("bit_errors", F.col("errors") / (32.0 * F.greatest(F.lit(1), F.col("overlap"))))
     found = materialize(links.groupBy(F.col("q_id").alias("class_id")).agg(F.sort_array(F.collect_list(F.struct(F.col("r_id").alias("class_id"), "offset", F.round("bit_errors", 6).alias("bit_errors")))).alias("matches")))
     out = rows.join(classes.select("h", "class_id", "n_class"), "h").join(found, "class_id", "left")
     query = F.coalesce(F.col("rec_id") % how.query_modulus == 0, F.lit(False))

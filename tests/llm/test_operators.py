@@ -465,6 +465,27 @@ def test_chroma(spark):
     assert chroma.search(chroma.fingerprints(chroma.melody_audio(frame.limit(0), how), how), how).count() == 0
 
 
+def test_chroma_finds_noisy_copies_through_their_leader(spark):
+    rng = np.random.default_rng(9)
+    centre = rng.normal(size=64)
+    vectors = [*rng.normal(size=(20, 64)).tolist(), centre.tolist(), *(centre + 0.05 * rng.normal(size=(60, 64))).tolist()]
+    how = chroma.Chroma(query_modulus=1)
+    frame = spark.createDataFrame([(i, v) for i, v in enumerate(vectors)], "vec_id long, embedding array<double>")
+    prints = chroma.fingerprints(chroma.melody_audio(frame, how), how)
+    rows = prints.withColumnRenamed("rec_id", "class_id")
+    plan = chroma.key_plan(len(vectors), list(range(12)), how)
+    led = chroma.followers(rows, plan, how).collect()
+    assert led and not {r["f_id"] for r in led} & {r["leader"] for r in led}
+    assert len({r["f_id"] for r in led}) == len(led)
+    own = {r["rec_id"]: np.array(r["codes"], np.int32).view(np.uint32) for r in prints.collect()}
+    errors = lambda i, j: int(np.unpackbits((own[i] ^ own[j]).view(np.uint8)).sum())
+    assert all(errors(r["f_id"], r["leader"]) == r["f_errors"] <= how.most_errors * 32 * len(own[r["f_id"]]) for r in led)
+    want = {(i, j): errors(i, j) for i in own for j in own if i != j and errors(i, j) <= how.most_errors * 32 * len(own[i])}
+    found = {(r["vec_id"], m["class_id"]): m for r in chroma.search(prints, how).collect() for m in r["matches"]}
+    assert len(want) > 500 and len(want.keys() & found.keys()) >= 0.9 * len(want)
+    assert len(found) == len(set(found)) and all(m["bit_errors"] <= how.most_errors for m in found.values())
+
+
 def test_chroma_aligns_shifted_audio(spark):
     rng = np.random.default_rng(4)
     how = chroma.Chroma(query_modulus=1)
