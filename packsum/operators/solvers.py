@@ -7,6 +7,7 @@ one task for each stream. A solution is a list of (pattern, repeats); a pattern
 from __future__ import annotations
 
 from collections import Counter
+from collections.abc import Sequence
 
 import numpy as np
 
@@ -145,13 +146,16 @@ def solve_nfd(instance: Instance, cap: int) -> Solution:
     return _gather({p: n for p, n in done.items() if n})
 
 
-def first_fit(sizes: list[int], cap: int) -> list[int]:
-    """Loads of First Fit in the given order, for baselines at test scale: a tournament tree over free space."""
+def first_fit(sizes: list[int], cap: int, start: Sequence[int] = ()) -> list[int]:
+    """Loads of First Fit in the given order, after bins of loads ``start``, for baselines at test scale: a tournament tree
+    over free space."""
     width = 1
-    while width < max(len(sizes), 1):
+    while width < max(len(sizes) + len(start), 1):
         width *= 2
-    tree = [cap] * (2 * width)
-    used = 0
+    tree = [0] * width + [cap - x for x in start] + [cap] * (width - len(start))
+    for at in range(width - 1, 0, -1):
+        tree[at] = max(tree[2 * at], tree[2 * at + 1])
+    used = len(start)
     for s in sizes:
         at = 1
         while at < width:

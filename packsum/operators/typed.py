@@ -125,7 +125,8 @@ class TypedStream:
 
 
 def typed_drift(vectors: Vectors, eps: Eps, order: str = "job_id") -> DataFrame:
-    """Sequential against batch, in one order: norm sums of small jobs within 1 + eps of the exact ones."""
+    """Sequential against batch, in one order: norm sums of small jobs within 1 + eps of the exact ones, and the loads of
+    every coordinate, as their types tell them, within (1 + eps)**2. Roundings to whole units are one for each job."""
     dims = vectors.dims
 
     def fold(pdf: pd.DataFrame) -> pd.DataFrame:
@@ -133,13 +134,20 @@ def typed_drift(vectors: Vectors, eps: Eps, order: str = "job_id") -> DataFrame:
         rows = [tuple(int(x) for x in v) for v in pdf.sort_values("place", kind="stable")["v"]]
         for v in rows:
             s.add(v)
-        exact = sum(max(v) for v in rows if max(v) > 0 and s.exponent(max(v)) < s.q - s.reach)
+        small = [v for v in rows if max(v) > 0 and s.exponent(max(v)) < s.q - s.reach]
+        exact = sum(max(v) for v in small)
         got = sum(s.small.values())
-        ok = exact <= got <= exact * (1 + float(eps.fraction)) + len(rows)
-        return pd.DataFrame([{"n": len(rows), "big_types": len(s.big), "small_types": len(s.small), "norm_drift": got, "norm_exact": exact, "within": ok}])
+        base = 1 + float(eps.fraction)
+        ok = exact <= got <= exact * base + len(rows)
+        kept = [[x if x * eps.den * dims > max(v) * eps.num else 0 for x in v] for v in small]
+        true = [sum(v[k] for v in kept) for k in range(dims)]
+        told = [sum(total * base ** -t[k] for t, total in s.small.items() if t[k] is not None) for k in range(dims)]
+        loads = all(x - len(rows) <= y <= x * base**2 + len(rows) for x, y in zip(true, told, strict=True))
+        worst = max((y / x for x, y in zip(true, told, strict=True) if x), default=1.0)
+        return pd.DataFrame([{"n": len(rows), "big_types": len(s.big), "small_types": len(s.small), "norm_drift": got, "norm_exact": exact, "within": ok, "n_small": len(small), "load_drift": worst, "loads_within": loads}])
 
     one = vectors.df.select(F.col(order).alias("place"), "v", F.lit(0).alias("g"))
-    return one.groupBy("g").applyInPandas(fold, "n long, big_types int, small_types int, norm_drift long, norm_exact long, within boolean").drop("g")
+    return one.groupBy("g").applyInPandas(fold, "n long, big_types int, small_types int, norm_drift long, norm_exact long, within boolean, n_small long, load_drift double, loads_within boolean").drop("g")
 
 
 def typed_estimate(vectors: Vectors, eps: Eps, m: int) -> DataFrame:

@@ -11,7 +11,7 @@ from collections.abc import Callable
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from packsum.operators import bounds, containers, estimate, makespan, properties, ranking, rounding, summaries, typed, vectors
+from packsum.operators import bounds, comparisons, containers, estimate, makespan, properties, ranking, rounding, summaries, typed, vectors
 from packsum.operators.estimate import PackHow
 from packsum.params import Eps, container_gamma, geometric_count, geometric_grid, packing_eps
 from packsum.plans.workloads import TARGETS, WORKLOADS
@@ -578,9 +578,9 @@ def _(spark, d):
     return typed.typed_summary(tables.document_vectors(spark, d), SCHED).filter("kind = 'small'").select("type", "n", "norm_sum")
 
 
-@query("typed_drift_report", "SELECT count(*)::BIGINT AS n, true AS within FROM documents")
+@query("typed_drift_report", "SELECT count(*)::BIGINT AS n, true AS within, true AS loads_within FROM documents")
 def _(spark, d):
-    return typed.typed_drift(tables.document_vectors(spark, d), SCHED).select("n", "within")
+    return typed.typed_drift(tables.document_vectors(spark, d), SCHED).select("n", "within", "loads_within")
 
 
 @query("typed_report")
@@ -637,6 +637,61 @@ def _(spark, d):
     return streams.rounded_in_batches(spark, streams.event_stream(spark, d), 50_000, EPS).agg(F.sum("multiplicity").cast("long").alias("n_big"))
 
 
+# Comparisons: baselines on raw items, the average fill, failures over repeats, types against containers, passes
+
+CLAMPED = f"SELECT event_id, least(s, 50000) AS s FROM (SELECT event_id, CAST(ROUND(value * 100) AS BIGINT) AS s FROM events)"
+
+
+@query("raw_item_baselines", f"""WITH l AS (SELECT list(s ORDER BY event_id) AS l, count(*) AS n, sum(s)::BIGINT AS total FROM ({CLAMPED}))
+SELECT n, ceil(total / 50000.0)::BIGINT AS size_bound, (list_reduce(list_prepend(0::BIGINT, l), lambda a, x: CASE WHEN x > a % 100000 THEN (a // 100000 + 1) * 100000 + 50000 - x ELSE a - x END) // 100000)::BIGINT AS next_fit, true AS ordered FROM l""")
+def _(spark, d):
+    ordered = (F.col("size_bound") <= F.col("bfd")) & (F.col("first_fit") <= F.col("next_fit")) & (F.col("next_fit") <= 2 * F.col("size_bound")) & (9 * F.col("ffd") <= 11 * F.col("next_fit") + 6)
+    return comparisons.raw_baselines(tables.event_items(spark, d)).select("n", "size_bound", "next_fit", ordered.alias("ordered"))
+
+
+@query("raw_item_baselines_report")
+def _(spark, d):
+    return comparisons.raw_baselines(tables.event_items(spark, d))
+
+
+@query("small_by_first_fit", f"SELECT count(*)::BIGINT AS n_small, coalesce(sum(s), 0)::BIGINT AS small_total, true AS within FROM ({CLAMPED}) WHERE s * {EPS.den} <= {EPS.num} * 50000")
+def _(spark, d):
+    r = comparisons.small_by_first_fit(tables.event_items(spark, d), EPS)
+    return r.select("n_small", "small_total", ((F.col("executed") <= F.col("alg")) & (F.col("executed") >= F.col("rounded_bins"))).alias("within"))
+
+
+@query("average_fill", " UNION ALL ".join(f"SELECT {packing_eps(t).num}::BIGINT AS eps_num, {packing_eps(t).den}::BIGINT AS eps_den, true AS filled, true AS bounded FROM (SELECT 1)" for t in TARGETS))
+def _(spark, d):
+    items = tables.event_items(spark, d)
+    parts = [comparisons.average_fill(estimate.pack(items, t, PackHow(solver="ffd")), items.cap) for t in TARGETS]
+    rows = parts[0]
+    for p in parts[1:]:
+        rows = rows.unionByName(p)
+    return rows.select("eps_num", "eps_den", "filled", "bounded")
+
+
+@query("random_failure_frequency", "SELECT 8::BIGINT AS runs, true AS within FROM (SELECT 1)")
+def _(spark, d):
+    return comparisons.failure_frequency(tables.price_items(spark, d), EPS).select("runs", "within")
+
+
+@query("types_against_containers", "SELECT d::INTEGER AS dims, n AS jobs, true AS within FROM (SELECT count(*)::BIGINT AS n FROM documents), (SELECT unnest([1, 2, 3]) AS d)")
+def _(spark, d):
+    return comparisons.types_against_containers(tables.document_vectors(spark, d), SCHED, MACHINES).select("dims", "jobs", "within")
+
+
+@query("types_against_containers_report")
+def _(spark, d):
+    return comparisons.types_against_containers(tables.document_vectors(spark, d), SCHED, MACHINES)
+
+
+@query("passes_report", "SELECT p AS plan, k::BIGINT AS scans, k * n AS rows_scanned FROM (SELECT count(*)::BIGINT AS n FROM lineitem), (VALUES ('items profile', 1), ('octave profile', 1), ('lower bounds', 1)) t(p, k)")
+def _(spark, d):
+    items = tables.price_items(spark, d)
+    plans = {"items profile": bounds.items_profile(items), "octave profile": rounding.octave_profile(items, EPS), "lower bounds": bounds.scalar_lower_bounds(items)}
+    return comparisons.passes(plans, items.df.count()).select("plan", "scans", "rows_scanned")
+
+
 QUERIES |= WORKLOADS
 
 
