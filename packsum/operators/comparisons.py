@@ -77,7 +77,8 @@ def average_fill(report: DataFrame, cap: int) -> DataFrame:
 
 
 def failure_frequency(items: Items, eps: Eps, repeats: int = 8, failure: float = 1e-4) -> DataFrame:
-    """Runs of the randomised summary, and how many of them state a rank bound that a true rank breaks."""
+    """Runs of the randomised summary, and how many of them state a rank bound that a true rank breaks. A few
+    runs cannot measure a rare failure: ``within`` lets one run fail where less than one is expected."""
     runs = Items(items.df.withColumn("run", F.explode(F.sequence(F.lit(1), F.lit(repeats)))), items.cap, ("run",))
     steps = summaries.random_steps(runs, eps, failure=failure)
     true = _cumulated(rounding.histogram(items, eps), "n").select(F.col("group_j").alias("g"), F.col("size_units").alias("s"), "c0")
@@ -100,7 +101,8 @@ def types_against_containers(vectors: Vectors, eps: Eps, m: int) -> DataFrame:
 
 
 def measured(df: DataFrame) -> dict[str, int]:
-    """Runs a plan and reads its own metrics: table scans, rows scanned, rows returned, bytes written to shuffles."""
+    """Runs a plan and reads its own metrics: table scans, rows scanned, rows returned, bytes written to shuffles. The
+    result comes to the driver, so this is for plans that return a report."""
     returned = len(df.collect())
     out, seen, todo = {"scans": 0, "rows_scanned": 0, "shuffle_bytes": 0, "rows_returned": returned}, set(), [df._jdf.queryExecution().executedPlan()]
     while todo:

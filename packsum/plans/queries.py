@@ -645,7 +645,7 @@ CLAMPED = f"SELECT event_id, least(s, 50000) AS s FROM (SELECT event_id, CAST(RO
 @query("raw_item_baselines", f"""WITH l AS (SELECT list(s ORDER BY event_id) AS l, count(*) AS n, sum(s)::BIGINT AS total FROM ({CLAMPED}))
 SELECT n, ceil(total / 50000.0)::BIGINT AS size_bound, (list_reduce(list_prepend(0::BIGINT, l), lambda a, x: CASE WHEN x > a % 100000 THEN (a // 100000 + 1) * 100000 + 50000 - x ELSE a - x END) // 100000)::BIGINT AS next_fit, true AS ordered FROM l""")
 def _(spark, d):
-    ordered = (F.col("size_bound") <= F.col("bfd")) & (F.col("first_fit") <= F.col("next_fit")) & (F.col("next_fit") <= 2 * F.col("size_bound")) & (9 * F.col("ffd") <= 11 * F.col("next_fit") + 6)
+    ordered = (F.col("size_bound") <= F.col("bfd")) & (F.col("first_fit") <= 2 * F.col("size_bound")) & (10 * F.col("first_fit") <= 17 * F.col("next_fit")) & (F.col("next_fit") <= 2 * F.col("size_bound")) & (9 * F.col("ffd") <= 11 * F.col("next_fit") + 6)
     return comparisons.raw_baselines(tables.event_items(spark, d)).select("n", "size_bound", "next_fit", ordered.alias("ordered"))
 
 
