@@ -7,7 +7,7 @@ import pytest
 
 from tests.test_entry import rows_of
 
-NAMES = ["dyadic_fixed_level"]
+NAMES = ["dyadic_fixed_level", "geometric_grouping_offline"]
 
 
 def agrees(spark, folder, name, values):
