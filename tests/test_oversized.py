@@ -10,7 +10,7 @@ from packsum.params import Eps
 from packsum.sources.tables import Items
 from tests.test_entry import rows_of
 
-NAMES = ["dyadic_fixed_level", "geometric_grouping_offline", "next_fit_fold", "octave_inequality", "octave_profile", "pack_report_events_bfd", "pack_report_events_ffd", "pack_report_events_lp"]
+NAMES = ["dyadic_fixed_level", "geometric_grouping_offline", "next_fit_fold", "octave_inequality", "octave_profile", "pack_report_events_bfd", "pack_report_events_ffd", "pack_report_events_lp", "pack_report_events_nfd"]
 
 
 def agrees(spark, folder, name, values):
@@ -34,7 +34,7 @@ def test_events_over_a_bin(spark, tmp_path, name):
     agrees(spark, tmp_path, name, values)
 
 
-@pytest.mark.parametrize("name", ["dyadic_fixed_level", "next_fit_fold", "octave_inequality", "octave_profile", "pack_report_events_bfd", "pack_report_events_ffd", "pack_report_events_lp"])
+@pytest.mark.parametrize("name", ["dyadic_fixed_level", "next_fit_fold", "octave_inequality", "octave_profile", "pack_report_events_bfd", "pack_report_events_ffd", "pack_report_events_lp", "pack_report_events_nfd"])
 def test_events_over_several_bins(spark, tmp_path, name):
     values = np.random.default_rng(2).integers(0, 40_000, 700) / 100
     values[::50] = [500.0, 500.01, 1000.0, 1000.01, 1499.99, 2500.0, 2617.35, 999_999.0, 3_000_000.0, 600.0, 1200.0, 0.0, 510.0, 5000.0]
