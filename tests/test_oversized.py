@@ -10,7 +10,7 @@ from packsum.params import Eps
 from packsum.sources.tables import Items
 from tests.test_entry import rows_of
 
-NAMES = ["dyadic_fixed_level", "geometric_grouping_offline", "next_fit_fold", "octave_inequality", "octave_profile", "pack_report_events_bfd", "pack_report_events_ffd", "pack_report_events_lp", "pack_report_events_nfd"]
+NAMES = ["dyadic_fixed_level", "geometric_grouping_offline", "next_fit_fold", "octave_inequality", "octave_profile", "pack_report_events_bfd", "pack_report_events_ffd", "pack_report_events_lp", "pack_report_events_nfd", "properties_sequential"]
 
 
 def agrees(spark, folder, name, values):
