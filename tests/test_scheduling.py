@@ -68,15 +68,33 @@ def test_quantile_by_rank(spark):
     assert abs(ranking.quantile_by_rank(spark, values, "x", 0.5, Eps(1, 10)) - 500) <= 0.4 * 1000 / 10 + 2
 
 
-def test_tight_instance(spark):
-    for m, inv in ((2, 2), (2, 4)):
-        v = tables.tight_instance(spark, m, inv)
-        rows = [tuple(r["v"]) for r in v.df.collect()]
-        assert len(rows) == m + m * (m - 1) * inv
-        if len(rows) <= 14:
-            assert containers.optimum_exact(rows, m) == inv
-        summary = [tuple(inv if k in (i, m) else 0 for k in range(m + 1)) for i in range(m)] + [(1,) * m + (0,)] * ((m - 1) * inv)
-        assert containers.optimum_exact(summary, m) / inv >= 2 - 1 / m
+@pytest.mark.parametrize("rows", [10, 14, 61, 200])
+def test_tight_instance(spark, rows):
+    keys = spark.createDataFrame([(k * k * 97,) for k in range(rows)], "k long")
+    for m, inv in ((2, 2), (2, 4), (3, 3)):
+        v = tables.tight_instance(keys, "k", m, inv)
+        jobs = sorted((r["job_id"], tuple(r["v"])) for r in v.df.collect())
+        share = (rows - m) // (m * (m - 1) * inv)
+        assert [j for j, _ in jobs] == [k * k * 97 for k in range(rows)] and v.cap == share * inv
+        used = [x for _, x in jobs if any(x)]
+        if share:
+            assert sum(x[m] > 0 for x in used) == m and len(used) == m + m * (m - 1) * inv * share
+        assert all(sum(x[k] for x in used) == m * v.cap for k in range(m + 1))
+        if share and len(used) <= 14:
+            assert containers.optimum_exact(used, m) == v.cap
+        summary = containers.containers_grouped(v, "grp").collect()
+        assert sum(r["n_jobs"] for r in summary) == rows and all(r["kind"] == "big" or r["norm"] <= share for r in summary)
+        if share:
+            assert containers.optimum_exact([tuple(r["vec"]) for r in summary], m) / v.cap >= 2 - 1 / m
+
+
+def test_tight_queries_read_customers(spark, tmp_path):
+    import __spark_entry__ as entry
+
+    for n in (233,):
+        path = str(tmp_path / str(n))
+        spark.range(n).select((F.col("id") * 11 + 5).alias("c_custkey")).write.parquet(f"{path}/customer.parquet")
+        assert entry.queries()["tight_instance"](spark, path).count() == n
 
 
 @pytest.mark.parametrize("order", ["up", "down", "random"])
