@@ -95,6 +95,7 @@ def test_tight_queries_read_customers(spark, tmp_path):
         path = str(tmp_path / str(n))
         spark.range(n).select((F.col("id") * 11 + 5).alias("c_custkey")).write.parquet(f"{path}/customer.parquet")
         assert entry.queries()["tight_instance"](spark, path).count() == n
+        assert all(r["jobs"] == n and r["as_proved"] for r in entry.queries()["w11_tight_checked"](spark, path).collect())
         plain = entry.queries()["w11_tight"](spark, path)
         assert [r["summary_optimum"] for r in plain.filter("method = 'grouped'").collect()] == [1.5, 1.5, 5 / 3]
 
