@@ -13,7 +13,7 @@ driver and a task hold is bounded by ``frequent``, ``most_places`` and ``most_bi
 the training text. Counts of all words stay a table, and words without a place of their own meet it in a join.
 
 Training is distributed: in each round every task goes through its share of all training texts by adaptive gradient
-steps and hands back the weights it touched with their sums of squared gradients; the next weights are the means
+steps, at every class on the way of every token, and hands back the weights it touched with their sums of squared gradients; the next weights are the means
 weighted by those sums. Scoring works on numpy batches of (token, class on its way) rows, which are sparse: no token
 touches a class that its word is not in.
 
@@ -57,7 +57,7 @@ class Maxent:
     most_bits: int = 22
     rounds: int = 1
     rate: float = 0.3
-    every: int = 8
+    every: int = 1
     settled: float = 50.0
     tokens_per_task: int = 256_000_000
 
@@ -222,7 +222,7 @@ def log_shares(context: np.ndarray, leaf: np.ndarray, model: Model) -> np.ndarra
 def gradient_steps(code: np.ndarray, bounds: np.ndarray, model: Model, how: Maxent) -> None:
     """Adaptive steps through all tokens in turn; changes ``weights`` and ``energy``.
 
-    A step is a stochastic gradient: every ``every``-th class on the ways of its tokens, another one in the next step.
+    A step goes through every class on the ways of its tokens; ``every`` over 1 would leave classes out.
     """
     context, leaf = contexts(code, bounds), leaf_of(code, model)[0]
     fanout = model.weights.shape[1]
