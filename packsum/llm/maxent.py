@@ -13,9 +13,9 @@ driver and a task hold is bounded by ``frequent``, ``most_places`` and ``most_bi
 the training text. Counts of all words stay a table, and words without a place of their own meet it in a join.
 
 Training is distributed: in each round every task goes through its share of all training texts by adaptive gradient
-steps, at every class on the way of every token, and hands back the weights it touched with their sums of squared gradients; the next weights are the means
-weighted by those sums. Scoring works on numpy batches of (token, class on its way) rows, which are sparse: no token
-touches a class that its word is not in.
+steps, at every class on the way of every token, and hands back the weights it touched with their sums of squared
+gradients; the next weights are the means weighted by those sums. Scoring works on numpy batches of (token, class on
+its way) rows, which are sparse: no token touches a class that its word is not in.
 
 Defined results: a null or empty text is the end token alone; with no training text both scores are 0; repeated rows
 score alike, each in its own row; rows without an identifier are scored and belong to the training side; extra columns
