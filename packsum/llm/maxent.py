@@ -84,6 +84,15 @@ class Model:
     def leaves(self) -> int:
         return len(self.code) + len(self.place_mass) + 1
 
+    def __setstate__(self, state: dict) -> None:
+        self.__dict__.update({k: built_in(v) if isinstance(v, np.ndarray) else v for k, v in state.items()})
+
+
+def built_in(x: np.ndarray) -> np.ndarray:
+    """The same array with numpy's own type object. Arrays out of a pickle have a copy of it, and so has all that is
+    computed from them; ``np.add.at`` then takes a path some ten times slower."""
+    return x.view(np.dtype(x.dtype.str))
+
 
 def token_codes(texts: pa.Array) -> tuple[np.ndarray, np.ndarray]:
     """Fingerprints of the tokens of all texts in turn, an end after each, and n + 1 bounds."""
@@ -226,7 +235,9 @@ def gradient_steps(code: np.ndarray, bounds: np.ndarray, model: Model, how: Maxe
     """
     context, leaf = contexts(code, bounds), leaf_of(code, model)[0]
     fanout = model.weights.shape[1]
-    flat, ones = model.weights.reshape(-1), np.ones(fanout, np.float32)
+    pair = np.complex64 if fanout % 2 == 0 else np.float32  # two weights are added at a time, each to its own
+    flat, ones = model.weights.reshape(-1).view(pair), np.ones(fanout, np.float32)
+    wide = np.arange(fanout * np.dtype(np.float32).itemsize // flat.itemsize)
     for lo in range(0, len(code), BATCH):
         _, member, rows, step, total = softmax(context[:, lo : lo + BATCH], leaf[lo : lo + BATCH], model, how.every, lo // BATCH % how.every)
         step *= (-1 / total)[:, None]
@@ -236,7 +247,7 @@ def gradient_steps(code: np.ndarray, bounds: np.ndarray, model: Model, how: Maxe
             np.add.at(model.energy, r, square)
         for r in rows:
             own = step * (np.float32(how.rate) / np.sqrt(np.take(model.energy, r) + np.float32(1e-6)))[:, None]
-            np.add.at(flat, (r[:, None] * fanout + np.arange(fanout)).ravel(), own.ravel())
+            np.add.at(flat, (r[:, None] * len(wide) + wide).ravel(), own.ravel().view(pair))
 
 
 TOUCHED = "block int, row array<int>, energy array<float>, weight array<float>"
@@ -253,7 +264,7 @@ def one_round(docs: DataFrame, model: Model, how: Maxent) -> None:
     fixed = Model(**{**vars(model), "weights": np.empty((0, fanout), np.float32), "energy": np.empty(0, np.float32)})
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        weights, energy = start or (np.zeros((rows, fanout), np.float32), np.zeros(rows, np.float32))
+        weights, energy = map(built_in, start or (np.zeros((rows, fanout), np.float32), np.zeros(rows, np.float32)))
         local = Model(**{**vars(fixed), "weights": weights.copy(), "energy": energy.copy()})
         for batch in pieces(batches, "text", SLICE):
             gradient_steps(*token_codes(batch.column("text")), local, how)
