@@ -41,6 +41,12 @@ def test_events_over_several_bins(spark, tmp_path, name):
     agrees(spark, tmp_path, name, values)
 
 
+@pytest.mark.parametrize("solver", ["ffd", "lp", "nfd", "bfd"])
+@pytest.mark.parametrize("values", [[], [None, None], [700.0], [-3.0, None, 0.0, 1700.25]], ids=["none", "nulls", "one", "odd"])
+def test_reports_of_odd_events(spark, tmp_path, solver, values):
+    agrees(spark, tmp_path, f"pack_report_events_{solver}", np.array(values, float))
+
+
 def test_a_large_item_fills_whole_bins_and_packs_its_last_piece(spark):
     items = Items(spark.createDataFrame([(1000,), (2000,), (2300,), (3050,), (700,), (40,)], "size_units long"), 1000, over=True)
     r = estimate.report(items, Eps(1, 5), estimate.rounded(items, Eps(1, 5))).first()
